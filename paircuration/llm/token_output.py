@@ -12,9 +12,10 @@ ids follow each other in text order; an empty table writes no file and gives no
 
 from __future__ import annotations
 
+import itertools
+import re
 import struct
 import zlib
-from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,14 +32,17 @@ from paircuration.llm.common import scratch
 SKIPPABLE, FOOTER, CHECKSUMS = 0x184D2A5E, 0x8F92EAB1, 0x80
 FRAME_TOKENS = 1 << 18
 NO_ID = -(1 << 63)
-_CACHE_WORDS = 250_000
+_CACHE_WORDS = 500_000
+# Letters a-z and Latin-1 (UTF-8 lead byte C3 but for its two signs), then ASCII marks without the apostrophe.
+_LETTERS_MARKS = re.compile(rb"((?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)([!-&(-/:-@\[-`{-~]+)")
 
 
 class CachedEncoder:
     """Token ids of whole texts, chunk by white-space chunk.
 
     Valid for tokenizers that never join across ASCII white space and drop it.  Each distinct chunk is encoded once
-    while it stays in a bounded cache; the ids of a batch are then gathered by array arithmetic.
+    while it stays in a bounded cache; the ids of a batch are then gathered by array arithmetic.  A full cache keeps its
+    oldest half: common chunks come early.
     """
 
     def __init__(self, path: str):
@@ -46,42 +50,83 @@ class CachedEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.dtype = np.uint16 if self.tokenizer.get_vocab_size(with_added_tokens=True) <= 1 << 16 else np.uint32
-        self._clear()
-
-    def _clear(self) -> None:
+        marks = [(i, t) for i, t in self.tokenizer.get_added_tokens_decoder().items() if t.special and not (t.lstrip or t.rstrip or t.single_word)]
+        self.mark = max(marks, default=(None, None), key=lambda m: m[0])
+        self.lowers = self.tokenizer.normalizer is not None and self.tokenizer.normalizer.normalize_str("AZ") == "az"
         self.slots: dict[bytes, int] = {}
+        self.pending: list[tuple[np.ndarray, np.ndarray]] = []
         self.flat, self.at = np.zeros(0, dtype=self.dtype), np.zeros(1, dtype=np.int64)
 
-    def _learn(self, fresh: list[bytes]) -> None:
-        texts = [b" ".join(fresh[i : i + 512]).decode() for i in range(0, len(fresh), 512)]
-        ids, sizes = [self.flat], []
-        for k, coded in enumerate(self.tokenizer.encode_batch(texts, add_special_tokens=False)):
-            words = fresh[k * 512 : k * 512 + 512]
-            lengths = np.fromiter((len(w.decode()) for w in words), np.int64, len(words))
-            begins = np.cumsum(lengths + 1) - lengths - 1
-            ids.append(np.array(coded.ids, dtype=self.dtype))
-            starts = np.array([o[0] for o in coded.offsets], dtype=np.int64)
-            sizes.append(np.bincount(np.searchsorted(begins, starts, side="right") - 1, minlength=len(words)) if len(starts) else np.zeros(len(words), np.int64))
-        self.flat = np.concatenate(ids)
-        self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(np.concatenate(sizes))])
-
-    def encode(self, texts: list[bytes]) -> Iterator[np.ndarray]:
-        chunked = [t.split() for t in texts]
+    def _shrink(self) -> None:
+        keep = _CACHE_WORDS // 2
+        self.slots = dict(itertools.islice(self.slots.items(), keep))
+        self.at = self.at[: keep + 1].copy()
+        self.flat = self.flat[: self.at[-1]].copy()
+
+    def _learn(self, units: list[bytes]) -> None:
+        """Encode units and append them; many share a call, told apart by a special token between them."""
+        number, token = self.mark
+        for i in range(0, len(units), 256):
+            words = [w.decode() for w in units[i : i + 256]]
+            ids, cuts = None, ()
+            if token is not None:
+                ids = np.array(self.tokenizer.encode_batch_fast([token.content.join(words)], add_special_tokens=False)[0].ids, dtype=self.dtype)
+                cuts = np.flatnonzero(ids == number)
+            if ids is not None and len(cuts) == len(words) - 1:
+                sizes = np.diff(np.concatenate([[-1], cuts, [len(ids)]])) - 1
+                ids = ids[ids != number]
+            else:
+                coded = [c.ids for c in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+                sizes, ids = np.fromiter(map(len, coded), np.int64, len(coded)), np.array(list(itertools.chain.from_iterable(coded)), dtype=self.dtype)
+            self._append(units[i : i + 256], sizes, ids)
+        self._pack()
+
+    def _append(self, units: list[bytes], sizes: np.ndarray, ids: np.ndarray) -> None:
+        self.slots.update(zip(units, range(len(self.slots), len(self.slots) + len(units))))
+        self.pending.append((sizes, ids))
+
+    def _pack(self) -> None:
+        if self.pending:
+            self.flat = np.concatenate([self.flat, *(p[1] for p in self.pending)])
+            self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(np.concatenate([p[0] for p in self.pending]))])
+            self.pending = []
+
+    def _gather(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids laid end to end, running sizes) of cached units."""
+        first = self.at[rows]
+        sizes = self.at[rows + 1] - first
+        upto = np.concatenate([[0], np.cumsum(sizes)])
+        return self.flat[np.repeat(first - upto[:-1], sizes) + np.arange(upto[-1])], upto
+
+    def _add(self, fresh: list[bytes]) -> None:
+        """A chunk of plain letters and a run of marks is put together from both; any other chunk is encoded itself."""
+        split = [_LETTERS_MARKS.fullmatch(w) for w in fresh]
+        pairs = [(w, m) for w, m in zip(fresh, split) if m]
+        units = dict.fromkeys(w for w, m in zip(fresh, split) if not m)
+        units.update(dict.fromkeys(u for _, m in pairs for u in m.groups() if u not in self.slots))
+        self._learn(list(units))
+        if pairs:
+            rows = np.fromiter((self.slots[u] for _, m in pairs for u in m.groups()), np.int64, 2 * len(pairs))
+            ids, upto = self._gather(rows)
+            self._append([w for w, _ in pairs], np.diff(upto[::2]), ids)
+            self._pack()
+
+    def encode(self, texts: list[bytes], end_id: int) -> list[np.ndarray]:
+        """Ids of each text, its end id included."""
         if len(self.slots) > _CACHE_WORDS:
-            self._clear()
-        slots = self.slots
-        known = len(slots)
-        rows = [np.fromiter((slots.setdefault(w, len(slots)) for w in words), np.int64, len(words)) for words in chunked]
-        if len(slots) > known:
-            import itertools
-
-            self._learn(list(itertools.islice(slots, known, None)))
-        for row in rows:
-            first = self.at[row]
-            sizes = self.at[row + 1] - first
-            total = int(sizes.sum())
-            shift = np.repeat(first - (np.cumsum(sizes) - sizes), sizes)
-            yield self.flat[shift + np.arange(total)]
+            self._shrink()
+        # the tokenizer lower-cases; a text that may name a special token keeps its case
+        chunked = [(t if not self.lowers or b"<|" in t else t.lower()).split() for t in texts]
+        words = list(itertools.chain.from_iterable(chunked))
+        rows = np.fromiter(map(self.slots.get, words, itertools.repeat(-1)), np.int64, len(words))
+        missing = np.flatnonzero(rows < 0)
+        if len(missing):
+            lacking = [words[i] for i in missing.tolist()]
+            self._add(list(dict.fromkeys(lacking)))
+            rows[missing] = np.fromiter(map(self.slots.__getitem__, lacking), np.int64, len(lacking))
+        ids, upto = self._gather(rows)
+        ends = upto[np.cumsum(np.fromiter(map(len, chunked), np.int64, len(chunked)))]
+        return np.split(np.insert(ids, ends, end_id), (ends + np.arange(1, len(ends) + 1))[:-1])
 
 
 _encoders: dict[str, CachedEncoder] = {}
@@ -184,10 +229,9 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_c
                     name = f"part-{context.partitionId():06d}-{context.taskAttemptId()}.zst"
                     coder = encoder(tokenizer)
                     writer, first = FrameWriter(files.open_output_stream(f"{base}/{name}", compression=None), coder.dtype), context.partitionId()
-                end = np.array([end_id], dtype=coder.dtype)
-                for key, ids in zip(keys[at : at + 256], coder.encode(texts.slice(at, 256).to_pylist())):
-                    writer.add(key, np.concatenate([ids, end]))
-                    docs_n, tokens = docs_n + 1, tokens + len(ids) + 1
+                for key, ids in zip(keys[at : at + 256], coder.encode(texts.slice(at, 256).to_pylist(), end_id)):
+                    writer.add(key, ids)
+                    docs_n, tokens = docs_n + 1, tokens + len(ids)
         if writer is not None:
             writer.close()
             yield pa.record_batch([pa.array([first], pa.int32()), pa.array([name]), pa.array([docs_n], pa.int64()), pa.array([tokens], pa.int64())],
