@@ -34,7 +34,7 @@ def coverage(df: DataFrame, by: str) -> DataFrame:
     counts = df.groupBy(by).agg(F.count(F.lit(1)).alias("n"))
     order = Window.partitionBy(F.lit(1)).orderBy(F.desc("n"), by)
     total = F.sum("n").over(Window.partitionBy(F.lit(1)))
-    return counts.withColumn("place", F.row_number().over(order)).withColumn("cumulative", F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, 0)) / total)
+    return counts.withColumn("place", F.row_number().over(order).cast("bigint")).withColumn("cumulative", F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, 0)) / total)
 
 
 def gini(df: DataFrame, by: str) -> DataFrame:

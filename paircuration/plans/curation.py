@@ -200,7 +200,7 @@ def function_normalised(spark, sf):
 @query("token_sets", "SELECT doc_id, len(t) AS n_tokens, md5(array_to_string(list_sort(t), ' ')) AS digest FROM (SELECT doc_id, list_distinct(regexp_extract_all(lower(text), '[a-z0-9_]+')) AS t FROM documents)")
 def token_sets(spark, sf):
     t = dedup.token_set(F.col("text"))
-    return load(spark, sf, "documents", ["doc_id", "text"]).select("doc_id", t.alias("t")).select("doc_id", F.size("t").alias("n_tokens"), F.md5(F.array_join(F.array_sort("t"), " ")).alias("digest"))
+    return load(spark, sf, "documents", ["doc_id", "text"]).select("doc_id", t.alias("t")).select("doc_id", F.size("t").cast("bigint").alias("n_tokens"), F.md5(F.array_join(F.array_sort("t"), " ")).alias("digest"))
 
 
 def _sets(spark, sf):
@@ -246,7 +246,7 @@ def minhash_estimates(spark, sf):
 
 @query("lsh_index", P.statement(NEAR, "SELECT id AS doc_id, band, key FROM idx"))
 def lsh_index(spark, sf):
-    return dedup.index(_signatures(spark, sf), "doc_id", CFG).select("doc_id", "band", "key")
+    return dedup.index(_signatures(spark, sf), "doc_id", CFG).select("doc_id", F.col("band").cast("bigint").alias("band"), "key")
 
 
 @query("lsh_bucket_report", P.statement(NEAR, "SELECT members, count(*) AS buckets FROM (SELECT count(*) AS members FROM idx GROUP BY band, key) GROUP BY members"))
@@ -314,7 +314,7 @@ def minhash_ml_crosscheck(spark, sf):
 _DETECT = "pair_id, phrase_hits, has_structure, section_count, generic_hits, ai_matched, cast(ai_tenths / 10.0 AS DECIMAL(3,1)) AS ai_score"
 for _name, _cfg in {"detector_scores": DetectorConfig(), "detector_per_match": DetectorConfig(count="per_match")}.items():
     query(_name, P.statement([*P.functions(), *P.detected(_cfg)], f"SELECT {_DETECT} FROM detected"))(
-        lambda spark, sf, cfg=_cfg: detector.score(_functions(spark, sf), cfg).select("pair_id", "phrase_hits", "has_structure", "section_count", "generic_hits", "ai_matched", "ai_score"))
+        lambda spark, sf, cfg=_cfg: detector.score(_functions(spark, sf), cfg).select("pair_id", F.col("phrase_hits").cast("bigint").alias("phrase_hits"), "has_structure", "section_count", F.col("generic_hits").cast("bigint").alias("generic_hits"), "ai_matched", "ai_score"))
 
 
 @query("detector_flags", P.statement([*P.functions(), *P.detected()], "SELECT pair_id, ai_matched FROM detected WHERE ai_flag"))
