@@ -18,8 +18,12 @@ def tokens(text: Column, limit: int = MAX_TOKENS) -> Column:
 def _grams(df: DataFrame, id_col: str, column: str, max_n: int) -> DataFrame:
     """(id, n, gram, times)"""
     size = F.size(column)
-    orders = [F.transform(F.sequence(F.lit(1), F.greatest(size - n + 1, F.lit(1))), lambda i, n=n: F.struct(
-        F.lit(n).alias("n"), F.array_join(F.slice(column, i, n), " ").alias("gram"), (i + n - 1 <= size).alias("whole"))) for n in range(1, max_n + 1)]
+
+    def order(n):
+        return F.transform(F.sequence(F.lit(1), F.greatest(size - n + 1, F.lit(1))), lambda i: F.struct(
+            F.lit(n).alias("n"), F.array_join(F.slice(column, i, n), " ").alias("gram"), (i + n - 1 <= size).alias("whole")))
+
+    orders = [order(n) for n in range(1, max_n + 1)]
     flat = df.select(id_col, F.explode(F.concat(*orders)).alias("g")).filter("g.whole")
     return flat.groupBy(id_col, F.col("g.n").alias("n"), F.col("g.gram").alias("gram")).agg(F.count(F.lit(1)).alias("times"))
 
@@ -119,4 +123,5 @@ def report(scores: DataFrame, by: str, measures: list[str]) -> DataFrame:
 
 
 def relative_gain(old: Column, new: Column) -> Column:
-    return (new - old) / old
+    """Null where the old value is zero."""
+    return F.try_divide(new - old, old)

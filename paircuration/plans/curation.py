@@ -517,7 +517,7 @@ def split_leakage_safe(spark, sf):
 
 @query("truncated_tokens", "SELECT doc_id, least(2048, len(string_split(trim(regexp_replace(text, '[ \\t\\n\\r\\f\\v]+', ' ', 'g')), ' '))) AS n FROM documents")
 def truncated_tokens(spark, sf):
-    return load(spark, sf, "documents", ["doc_id", "text"]).select("doc_id", F.size(split.truncate(F.col("text"))).alias("n"))
+    return load(spark, sf, "documents", ["doc_id", "text"]).select("doc_id", F.size(split.truncate(F.col("text"))).cast("bigint").alias("n"))
 
 
 _COUNT_TOKENS = "len(regexp_extract_all(text, '[^ \\t\\n\\r]+'))"
@@ -601,7 +601,7 @@ def baseline_comparison(spark, sf):
     old = metrics.report(_measured(generators.untrained(test)), "language", ["bleu", "lcs_f"])
     new = metrics.report(_measured(generators.retrieve(train, test)), "language", ["bleu", "lcs_f"]).drop("n")
     joined = old.withColumnsRenamed({"bleu": "bleu_untrained", "lcs_f": "lcs_untrained"}).join(new.withColumnsRenamed({"bleu": "bleu_retrieved", "lcs_f": "lcs_retrieved"}), "language")
-    return joined.withColumn("bleu_gain", metrics.relative_gain(F.col("bleu_untrained"), F.nullif("bleu_retrieved", F.lit(None).cast("double")))).withColumn("lcs_gain", metrics.relative_gain(F.col("lcs_untrained"), F.col("lcs_retrieved")))
+    return joined.withColumn("bleu_gain", metrics.relative_gain(F.col("bleu_untrained"), F.col("bleu_retrieved"))).withColumn("lcs_gain", metrics.relative_gain(F.col("lcs_untrained"), F.col("lcs_retrieved")))
 
 
 @query("curation_ablation")
