@@ -15,6 +15,7 @@ the labelled share of toxic rows (0.0 with no labels at all); extra columns are
 
 from __future__ import annotations
 
+import itertools
 import math
 import re
 import zlib
@@ -31,7 +32,7 @@ SLOTS = 1 << 18
 PER_CLASS = 3000
 _WORD = re.compile(r"\w+")
 _CHAIN = 128
-_CACHE = 400_000
+_CACHE = 200_000
 
 
 def _features(word: str) -> list[int]:
@@ -53,8 +54,8 @@ class Tagger:
     def _look(self, word: str) -> float:
         got = self.cache.get(word)
         if got is None:
-            if len(self.cache) >= _CACHE:
-                self.cache.clear()
+            if len(self.cache) >= _CACHE:  # common words came early and stay
+                self.cache = dict(itertools.islice(self.cache.items(), _CACHE // 2))
             got = self.cache[word] = float(self.weights[_features(word)].sum()) + self.bias
         return got
 
@@ -234,7 +235,9 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col: st
     texts, y = [texts[i] for i in order], y[order]
     if len(set(y.tolist())) < 2:
         return Tagger(np.zeros(SLOTS), -6.0, np.ones((2, 2)), None, base)
-    tagger = Tagger(*train_crf([([w.lower() for w in _WORD.findall(t)], int(k)) for t, k in zip(texts, y)]), None, base)
+    pool: dict[str, str] = {}  # one string object per distinct word
+    lowered = (([pool.setdefault(w, w) for w in _WORD.findall(t.lower())], int(k)) for t, k in zip(texts, y))
+    tagger = Tagger(*train_crf(list(lowered)), None, base)
     found = np.concatenate([tagger.evidence(texts[i : i + 200])[0] for i in range(0, len(texts), 200)])
     weight = np.where(y == 1, base / max(1e-9, y.mean()), (1 - base) / max(1e-9, 1 - y.mean()))
     tagger.calibration = fit_logistic(found, y.astype(float), weight, l2=0.1)
