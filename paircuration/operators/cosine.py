@@ -2,24 +2,36 @@
 
 from __future__ import annotations
 
-import random
-
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
 def neighbours(df: DataFrame, id_col: str, vector: str, least: float, bands: int = 16, bits: int = 8, seed: int = 7) -> DataFrame:
-    """(lo, hi, cosine) of pairs that share a band and reach the cosine; dot products stay inside the JVM."""
-    size = df.select(F.max(F.size(vector))).first()[0] or 1
-    draw = random.Random(seed)
-    plane = lambda: F.array(*[F.lit(draw.gauss(0, 1)) for _ in range(size)])
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y), F.lit(0.0), lambda s, x: s + x)
-    signs = [F.when(dot(F.col(vector), plane()) >= 0, "1").otherwise("0") for _ in range(bands * bits)]
-    keys = F.array(*[F.concat(*signs[i * bits : (i + 1) * bits]) for i in range(bands)])
-    idx = df.select(id_col, F.posexplode(keys).alias("band", "key"))
-    a, b = idx.withColumnRenamed(id_col, "lo"), idx.withColumnRenamed(id_col, "hi")
+    """(lo, hi, cosine) of pairs that share a band and reach the cosine.
+
+    Band keys come from one matrix product per Arrow batch; candidate pairs are verified by exact dot products. Null and
+    zero vectors have no neighbours; vectors of other sizes than the first one are ignored.
+    """
+    first = df.filter(F.size(vector) > 0).select(F.size(vector)).first()
+    size = first[0] if first else 1
+    planes = np.random.default_rng(seed).normal(size=(size, bands * bits))
+    weights = 1 << np.arange(bits)
+
+    def keys(batches):
+        for batch in batches:
+            rows = [(i, v) for i, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()) if v is not None and len(v) == size and any(v)]
+            if rows:
+                x = np.array([v for _, v in rows], dtype=np.float64)
+                x /= np.linalg.norm(x, axis=1, keepdims=True)
+                codes = ((x @ planes >= 0).reshape(len(x), bands, bits) * weights).sum(axis=2)
+                yield pa.record_batch([pa.array([i for i, _ in rows], pa.int64()), pa.array(list(codes), pa.list_(pa.int64())), pa.array(list(x), pa.list_(pa.float64()))], names=["id", "keys", "unit"])
+
+    units = df.select(F.col(id_col).cast("bigint").alias("id"), vector).mapInArrow(keys, "id bigint, keys array<bigint>, unit array<double>")
+    idx = units.select("id", F.posexplode("keys").alias("band", "key"))
+    a, b = idx.withColumnRenamed("id", "lo"), idx.withColumnRenamed("id", "hi")
     pairs = a.join(b, ["band", "key"]).filter("lo < hi").select("lo", "hi").distinct()
-    unit = df.select(id_col, F.col(vector).alias("x"), F.sqrt(dot(F.col(vector), F.col(vector).cast("array<double>"))).alias("norm"))
-    full = pairs.join(unit.toDF("lo", "xa", "na"), "lo").join(unit.toDF("hi", "xb", "nb"), "hi")
-    cosine = dot(F.col("xa"), F.col("xb").cast("array<double>")) / (F.col("na") * F.col("nb"))
+    full = pairs.join(units.select(F.col("id").alias("lo"), F.col("unit").alias("xa")), "lo").join(units.select(F.col("id").alias("hi"), F.col("unit").alias("xb")), "hi")
+    cosine = F.aggregate(F.zip_with("xa", "xb", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     return full.withColumn("cosine", cosine).filter(F.col("cosine") >= least).select("lo", "hi", "cosine")

@@ -598,8 +598,8 @@ def baseline_comparison(spark, sf):
     """Untrained template against retrieval from the curated training split, with relative gains."""
     parts = settle(split.stratified(_final(spark, sf), "language", "pair_id"), "split")
     train, test = parts.filter("split = 'train'"), parts.filter("split = 'test'")
-    old = metrics.report(_measured(generators.untrained(test)), "language", ["bleu", "lcs_f"])
-    new = metrics.report(_measured(generators.retrieve(train, test)), "language", ["bleu", "lcs_f"]).drop("n")
+    old = metrics.report(settle(_measured(generators.untrained(test)), "scores"), "language", ["bleu", "lcs_f"])
+    new = metrics.report(settle(_measured(settle(generators.retrieve(train, test), "generated")), "scores"), "language", ["bleu", "lcs_f"]).drop("n")
     joined = old.withColumnsRenamed({"bleu": "bleu_untrained", "lcs_f": "lcs_untrained"}).join(new.withColumnsRenamed({"bleu": "bleu_retrieved", "lcs_f": "lcs_retrieved"}), "language")
     return joined.withColumn("bleu_gain", metrics.relative_gain(F.col("bleu_untrained"), F.col("bleu_retrieved"))).withColumn("lcs_gain", metrics.relative_gain(F.col("lcs_untrained"), F.col("lcs_retrieved")))
 
@@ -609,13 +609,14 @@ def curation_ablation(spark, sf):
     """Retrieval from the curated pool, from an equal sample of the uncurated pool, and with one stage left out each."""
     everything = _functions(spark, sf)
     test = settle(split.stratified(_final(spark, sf), "language", "pair_id").filter("split = 'test'"), "test")
-    pools = {"curated": _final(spark, sf)} | {f"no_{s}": pipeline.run(everything, skip=frozenset([s])).final for s in ("stage1", "stage2", "near")}
+    pools = {"curated": _final(spark, sf)} | {f"no_{s}": settle(pipeline.run(everything, skip=frozenset([s])).final, "pool") for s in ("stage1", "stage2", "near")}
     size = pools["curated"].count()
     pools["uncurated_sample"] = everything.orderBy(F.md5(F.col("pair_id").cast("string"))).limit(size)
     out = None
     for name, pool in pools.items():
         train = pool.join(test.select("pair_id"), "pair_id", "left_anti")
-        row = metrics.report(_measured(generators.retrieve(train, test)), "language", ["bleu", "lcs_f"]).filter("language = '(micro)'").select(F.lit(name).alias("pool"), "n", "bleu", "lcs_f")
+        scores = settle(_measured(settle(generators.retrieve(train, test), "generated")), "scores")
+        row = scores.agg(F.lit(name).alias("pool"), F.count(F.lit(1)).alias("n"), F.avg("bleu").alias("bleu"), F.avg("lcs_f").alias("lcs_f"))
         out = row if out is None else out.union(row)
     return out
 
@@ -650,4 +651,4 @@ def benchmark_overlap(spark, sf):
 def embedding_neighbours(spark, sf):
     from paircuration.operators.cosine import neighbours
 
-    return neighbours(load(spark, sf, "embeddings"), "vec_id", "embedding", 0.9)
+    return neighbours(load(spark, sf, "embeddings"), "vec_id", "embedding", 0.6)
