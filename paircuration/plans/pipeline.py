@@ -51,8 +51,7 @@ def run(pairs: DataFrame, cfg: CurationConfig = CurationConfig(), skip: frozense
     retained = scored if "stage2" in skip else stage2.retain(scored, cfg.stage2)
     text = dedup.normalise(F.col("code"), F.col("language"))
     firsts = retained if "exact" in skip else dedup.exact(retained, text, ["pair_id"])
-    if "near" not in skip:
-        firsts = settle(firsts, "firsts")  # read several times below
+    firsts = settle(firsts, "firsts")  # read several times below, and too large an expression to fold further
     deduped = firsts if "near" in skip else near_dedup(firsts, "pair_id", text, cfg.dedup)
     final = deduped if "detector" in skip else detector.policy(detector.score(deduped, cfg.detector), cfg.detector)
     return Curation(pairs, filtered, retained, firsts, deduped, final)
