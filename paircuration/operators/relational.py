@@ -40,6 +40,12 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, value: str)
     return a.unionByName(b).withColumn("found", F.last("_value", ignorenulls=True).over(run)).filter("_side = 1").drop("_side", "_value")
 
 
+def bucket_pairs(df: DataFrame, bucket: list[str], id_col: str) -> DataFrame:
+    """(lo, hi) neighbours by id inside each bucket: n - 1 links connect a bucket of n rows, none expands into all pairs."""
+    before = F.lag(id_col).over(Window.partitionBy(*bucket).orderBy(id_col))
+    return df.withColumn("lo", before).filter("lo IS NOT NULL").select("lo", F.col(id_col).alias("hi"))
+
+
 def top_k(df: DataFrame, by: list[str], order: list[Column], k: int) -> DataFrame:
     """First k rows of each group; Catalyst turns the rank filter into a group limit before the shuffle."""
     return df.withColumn("_rn", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).filter(F.col("_rn") <= k).drop("_rn")

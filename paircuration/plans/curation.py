@@ -259,7 +259,13 @@ def lsh_candidates(spark, sf):
     return dedup.candidates(dedup.index(_signatures(spark, sf), "doc_id", CFG), "doc_id")
 
 
-@query("lsh_band_choice")
+_BANDS = """WITH o AS (SELECT b, r FROM range(1, 129) x(r), range(1, 129) y(b) WHERE b * r <= 128), t AS (SELECT unnest([0.5, 0.6, 0.7, 0.8, 0.9])::DOUBLE AS tau),
+p AS (SELECT tau, b, r, (1 - ((i + 0.5) * tau / 200.0::DOUBLE) ** r) ** b AS miss_low, (1 - (tau + (i + 0.5) * (1 - tau) / 200.0::DOUBLE) ** r) ** b AS miss_high FROM t, o, range(200) z(i)),
+a AS (SELECT tau, b, r, 0.5 * sum(1 - miss_low) * tau / 200 + 0.5 * sum(miss_high) * (1 - tau) / 200 AS area FROM p GROUP BY tau, b, r)
+SELECT tau, b::INT AS bands, r::INT AS rows FROM (SELECT *, row_number() OVER (PARTITION BY tau ORDER BY area, b, r) AS place FROM a) WHERE place = 1"""
+
+
+@query("lsh_band_choice", _BANDS)
 def lsh_band_choice(spark, sf):
     rows = [(t, *dedup.choose_bands(t, 128)) for t in (0.5, 0.6, 0.7, 0.8, 0.9)]
     return spark.createDataFrame(rows, "tau double, bands int, rows int")
@@ -577,12 +583,23 @@ def bleu_corpus(spark, sf):
     return metrics.bleu_corpus(_replies(spark, sf), "pair").select(F.round("bleu", 9).alias("bleu"))
 
 
-@query("lcs_overlap")
+def _lcs_sql(limit: int, columns: str) -> str:
+    """One table row per candidate token: cells that match grow from the diagonal, then a running maximum."""
+    cells = "list_transform(range(1, len(ref) + 1), lambda k: CASE WHEN cand[i + 1] <> ref[k] THEN line[k] WHEN k = 1 THEN 1 ELSE line[k - 1] + 1 END)"
+    return P.statement([
+        *_bleu_parts()[:1], ("cut", f"SELECT pair, cand[1:{limit}] AS cand, ref[1:{limit}] AS ref FROM tok"),
+        ("folded", f"SELECT pair, cand, ref, 0 AS i, list_transform(ref, lambda t: 0) AS line FROM cut UNION ALL SELECT pair, cand, ref, i + 1, list_transform(range(1, len(ref) + 1), lambda k: list_max(cells[1:k])) FROM (SELECT *, {cells} AS cells FROM folded WHERE i < len(cand))"),
+        ("ends", "SELECT pair, coalesce(line[len(ref)], 0)::INT AS lcs, len(cand) AS c, len(ref) AS r FROM folded WHERE i = len(cand)"),
+        ("shares", "SELECT pair, lcs, CASE WHEN c > 0 THEN lcs / c ELSE 0.0::DOUBLE END AS p, CASE WHEN r > 0 THEN lcs / r ELSE 0.0::DOUBLE END AS q FROM ends"),
+    ], f"SELECT {columns}, CASE WHEN lcs > 0 THEN 2.0 * p * q / (q + p) ELSE 0.0::DOUBLE END AS lcs_f FROM shares")
+
+
+@query("lcs_overlap", _lcs_sql(2048, 'pair, lcs, p AS "precision", q AS recall'))
 def lcs_overlap(spark, sf):
     return metrics.lcs_overlap(_replies(spark, sf)).select("pair", "lcs", "precision", "recall", "lcs_f")
 
 
-@query("lcs_overlap_native")
+@query("lcs_overlap_native", _lcs_sql(40, "pair, lcs"))
 def lcs_overlap_native(spark, sf):
     short = carriers.reply_pairs(spark, sf).select(F.concat_ws("-", "conv_id", "turn").alias("pair"), metrics.tokens(F.col("candidate"), 40).alias("cand"), metrics.tokens(F.col("reference"), 40).alias("ref"))
     return metrics.lcs_overlap(short, arrow=False).select("pair", "lcs", "lcs_f")

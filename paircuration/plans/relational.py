@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -187,6 +190,12 @@ def join_asof(spark, sf):
     return R.asof_join(e.filter("event_type <> 'purchase'"), e.filter("event_type = 'purchase'"), "user_id", "ts", "event_id").select("event_id", F.col("found").alias("purchase_id"))
 
 
+@query("join_self_bucket", "SELECT max(a.doc_id) AS lo, b.doc_id AS hi FROM documents a JOIN documents b ON a.lang = b.lang AND a.n_chars = b.n_chars AND md5(a.text) = md5(b.text) AND a.doc_id < b.doc_id WHERE a.n_chars BETWEEN 20 AND 10000 GROUP BY b.doc_id")
+def join_self_bucket(spark, sf):
+    docs = load(spark, sf, "documents", ["doc_id", "lang", "n_chars", "text"]).filter(F.col("n_chars").between(20, 10000))
+    return R.bucket_pairs(docs.select("doc_id", "lang", "n_chars", F.md5("text").alias("digest")), ["lang", "n_chars", "digest"], "doc_id")
+
+
 @query("join_cross", "SELECT r_name, n_name FROM region, nation")
 def join_cross(spark, sf):
     return load(spark, sf, "nation", ["n_name"]).crossJoin(F.broadcast(load(spark, sf, "region", ["r_name"]))).select("r_name", "n_name")  # two fixed tables: 5 and 25 rows
@@ -438,6 +447,27 @@ def udf_scalar_pandas(spark, sf):
     return load(spark, sf, "documents").select("doc_id", size("text").alias("size"))
 
 
+@query("udf_iter_pandas", "SELECT doc_id, len(regexp_extract_all(text, '[a-z]+'))::BIGINT AS n FROM documents WHERE text IS NOT NULL")
+def udf_iter_pandas(spark, sf):
+    """Iterator form: the pattern is compiled once for each task, not for each batch."""
+    def count(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        word = re.compile("[a-z]+")
+        for texts in batches:
+            yield texts.map(lambda t: len(word.findall(t))).astype("int64")
+
+    counted = F.pandas_udf(count, T.LongType())
+    return load(spark, sf, "documents", ["doc_id", "text"]).filter("text IS NOT NULL").select("doc_id", counted("text").alias("n"))
+
+
+@query("udaf_grouped_agg", "SELECT o_custkey, round(max(o_totalprice) - min(o_totalprice), 6) AS spread FROM orders GROUP BY o_custkey")
+def udaf_grouped_agg(spark, sf):
+    def spread(values: pd.Series) -> float:
+        return float(values.max() - values.min())
+
+    wide = F.pandas_udf(spread, T.DoubleType())
+    return load(spark, sf, "orders", ["o_custkey", "o_totalprice"]).groupBy("o_custkey").agg(wide("o_totalprice").alias("spread")).select("o_custkey", F.round("spread", 6).alias("spread"))
+
+
 @query("udf_map_in_arrow", "SELECT doc_id, n_chars * 2 AS twice FROM documents")
 def udf_map_in_arrow(spark, sf):
     import pyarrow as pa
