@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import hashlib
 import random
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -71,19 +75,57 @@ def coefficients(cfg: DedupConfig) -> list[tuple[int, int]]:
     return [(draw.randrange(1, PRIME), draw.randrange(PRIME)) for _ in range(cfg.num_hashes)]
 
 
+def _affine_minima(values: np.ndarray, sizes: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+    """Minimum of (a v + b) mod 2^31 - 1 over each set's values (sets laid end to end, none empty), for all (a, b)."""
+    out = np.full((len(sizes), len(pairs)), PRIME, dtype=np.uint64)
+    owner, a, b = np.repeat(np.arange(len(sizes)), sizes), pairs[:, :1], pairs[:, 1:]
+    prime, shift = np.uint64(PRIME), np.uint64(31)
+    for at in range(0, len(values), 8192):
+        x = a * values[None, at : at + 8192] + b  # below 2^63
+        x = (x & prime) + (x >> shift)  # the modulus is a Mersenne prime: fold twice, subtract once
+        x = (x & prime) + (x >> shift)
+        x -= prime * (x >= prime)
+        sets, first = np.unique(owner[at : at + 8192], return_index=True)
+        out[sets] = np.minimum(out[sets], np.minimum.reduceat(x, first, axis=1).T)
+    return out
+
+
+def _affine_signatures(sets: DataFrame, id_col: str, cfg: DedupConfig) -> DataFrame:
+    kind, pairs, keep = sets.schema[id_col].dataType.simpleString(), np.array(coefficients(cfg), dtype=np.uint64), 200_000
+
+    def run(batches):
+        known: dict[str, int] = {}
+        for batch in batches:
+            for at in range(0, len(batch), 512):
+                part = batch.slice(at, 512)
+                part = part.filter(pc.greater(pc.fill_null(pc.list_value_length(part.column(1)), 0), 0))
+                if not len(part):
+                    continue
+                if len(known) > keep:
+                    known.clear()
+                words = pc.list_flatten(part.column(1)).to_pylist()
+                for w in set(words).difference(known):
+                    known[w] = int.from_bytes(hashlib.md5(w.encode()).digest()[:4], "big") & PRIME
+                sizes = pc.list_value_length(part.column(1)).to_numpy().astype(np.int64)
+                found = _affine_minima(np.array([known[w] for w in words], dtype=np.uint64), sizes, pairs)
+                ends = pa.array(np.arange(len(part) + 1) * len(pairs), pa.int32())
+                yield pa.record_batch([part.column(0), pa.array(sizes), pa.ListArray.from_arrays(ends, pa.array(found.astype(np.int64).ravel()))], names=["row_key", "n_tokens", "signature"])
+
+    found = sets.select(F.col(id_col).alias("row_key"), "tokens").mapInArrow(run, f"row_key {kind}, n_tokens bigint, signature array<bigint>")
+    return found.withColumnRenamed("row_key", id_col)
+
+
 def signatures(df: DataFrame, id_col: str, text: Column, cfg: DedupConfig = DedupConfig()) -> DataFrame:
     """(id, n_tokens, signature): minima of k hashes over the token set.
 
-    Tokens are exploded and reduced by one aggregate; a row's tokens sit in one task, so the map side already leaves
-    about one row per id.  Rows without tokens have no signature and never pair.
+    The affine family is narrow: sets are made in the JVM and their minima by array arithmetic, batch by batch, so tokens
+    never move.  The xxhash64 family explodes the tokens and takes all minima in one aggregate.  Rows without tokens have
+    no signature and never pair; ids are taken to be unique.
     """
-    tokens = df.select(id_col, F.explode(token_set(text)).alias("token"))
     if cfg.family == "affine31":
-        value = F.conv(F.substring(F.md5("token"), 1, 8), 16, 10).cast("bigint").bitwiseAND(F.lit(PRIME))
-        slots = [F.min((F.col("v") * F.lit(a) + F.lit(b)) % F.lit(PRIME)).alias(f"h{i}") for i, (a, b) in enumerate(coefficients(cfg))]
-        tokens = tokens.withColumn("v", value)
-    else:
-        slots = [F.min(F.xxhash64(F.lit(cfg.seed + i), "token")).alias(f"h{i}") for i in range(cfg.num_hashes)]
+        return _affine_signatures(df.select(id_col, token_set(text).alias("tokens")), id_col, cfg)
+    tokens = df.select(id_col, F.explode(token_set(text)).alias("token"))
+    slots = [F.min(F.xxhash64(F.lit(cfg.seed + i), "token")).alias(f"h{i}") for i in range(cfg.num_hashes)]
     grouped = tokens.groupBy(id_col).agg(F.count(F.lit(1)).alias("n_tokens"), *slots)
     return grouped.select(id_col, "n_tokens", F.array(*[f"h{i}" for i in range(cfg.num_hashes)]).alias("signature"))
 
