@@ -58,6 +58,17 @@ def _fingerprint_batches(batches):
         yield pa.record_batch([batch.column(0), pa.array(marks, pa.int64())], names=["row_key", "mark"])
 
 
+def _digest_fingerprint_batches(batches):
+    for batch in batches:
+        for part in _fingerprint_batches([batch.select([0, 2])]):
+            yield pa.record_batch([batch.column(0), batch.column(1), part.column(1)], names=["row_key", "digest", "mark"])
+
+
+def text_digest(text_col: str):
+    """16 bytes that tell apart rows that share an id; null counts as empty."""
+    return F.unhex(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")))
+
+
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(row_key, mark): the fingerprint as a signed long. Narrow."""
     kind = df.schema[id_col].dataType.simpleString()
@@ -127,14 +138,19 @@ def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
+def _tree(groups: DataFrame) -> DataFrame:
+    """(mark, root) of every fingerprint that has a link; `groups` has one row per fingerprint."""
+    active = settle(candidates(groups.select("mark")), "active")
+    found = components(links(active).select(F.col("mark").alias("a"), F.col("hub").alias("b")))
+    return settle(found.select(F.col("node").alias("mark"), "root").union(
+        found.select("root").distinct().select(F.col("root").alias("mark"), "root")), "tree")
+
+
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, fingerprint, component_id) per row: the smallest id reachable over links of at most three bits."""
     marked = settle(fingerprints(df, id_col, text_col), "fingerprints")
     groups = settle(marked.groupBy("mark").agg(F.min("row_key").alias("first"), F.count(F.lit(1)).alias("n")), "marks")
-    active = settle(candidates(groups.select("mark")), "active")
-    found = components(links(active).select(F.col("mark").alias("a"), F.col("hub").alias("b")))
-    tree = settle(found.select(F.col("node").alias("mark"), "root").union(
-        found.select("root").distinct().select(F.col("root").alias("mark"), "root")), "tree")
+    tree = _tree(groups)
     smallest = tree.join(groups.select("mark", "first"), "mark").groupBy("root").agg(F.min("first").alias("smallest"))
     named = tree.join(smallest, "root").select("mark", "smallest")
     classes = settle(groups.join(named, "mark", "left").select(
@@ -143,16 +159,41 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return out.select(F.col("row_key").alias(id_col), F.lpad(F.lower(F.hex("mark")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def first_rows(marked: DataFrame, key: str) -> DataFrame:
+    """(key, best) from (row_key, digest, key): the key's row of the smallest id, then digest, and how often it occurs."""
+    per = marked.groupBy(key, "row_key", "digest").agg(F.count(F.lit(1)).alias("n"))
+    return per.groupBy(key).agg(F.min(F.struct(F.col("row_key").isNull().alias("anonymous"), "row_key", "digest", "n")).alias("best"))
+
+
+def keep_rows(df: DataFrame, best: DataFrame, tree: DataFrame, key: str, id_col: str, text_col: str) -> DataFrame:
+    """Rows of `df` that are the first of their component, with all their columns.
+
+    `best` is what first_rows returns, `tree` has (key, root) of the keys that have links.  A survivor is known by id and
+    digest together, and only rows equal in both, which share a component, are reduced to one.  The survivors are the
+    hashed side of the join, so no text is sorted.
+    """
+    rooted = best.join(tree, key, "left").groupBy(F.coalesce("root", key).alias("root")).agg(F.min("best").alias("best"))
+    stay = settle(rooted.select(F.col("best.row_key").alias("_id"), F.col("best.digest").alias("_stay"), F.col("best.n").alias("_n")), "survivors")
+    rows = df.withColumn("_digest", text_digest(text_col))
+    on = F.col(id_col).eqNullSafe(F.col("_id")) & (F.col("_digest") == F.col("_stay"))
+    if not stay.filter("_n > 1").limit(1).count():
+        return rows.join(stay.hint("shuffle_hash"), on, "left_semi").select(*df.columns)
+    once = rows.join(stay.filter("_n = 1").hint("shuffle_hash"), on, "left_semi")
+    many = rows.join(stay.filter("_n > 1").hint("shuffle_hash"), on, "left_semi").dropDuplicates([id_col, "_digest"])
+    return once.select(*df.columns).union(many.select(*df.columns))
+
+
 def keep_first(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One document of each component, the one with the smallest id, with all its columns.
 
-    The survivors' ids are the hashed side of the join, so no text is sorted.  Rows that repeat an id are reduced to
-    one as well; a row with a null id is kept if nothing it links to has an id.
+    Rows of different components stay apart even if they share an id or have none; a row with a null id is kept if
+    nothing it links to has an id, one for each such component.
     """
-    found = near_duplicates(df, id_col, text_col).select(F.col(id_col).alias("survivor"), "component_id")
-    stay = settle(found.filter(F.col("survivor").eqNullSafe(F.col("component_id"))).groupBy("survivor").count(), "survivors")
-    kept = df.join(stay.select("survivor").hint("shuffle_hash"), F.col(id_col).eqNullSafe(F.col("survivor")), "left_semi")
-    return kept.dropDuplicates([id_col]) if stay.filter("count > 1").limit(1).count() else kept
+    kind = df.schema[id_col].dataType.simpleString()
+    marked = settle(df.select(F.col(id_col).alias("row_key"), text_digest(text_col).alias("digest"), F.col(text_col).cast("string").alias("body")).mapInArrow(
+        _digest_fingerprint_batches, f"row_key {kind}, digest binary, mark bigint"), "fingerprints")
+    best = settle(first_rows(marked, "mark"), "marks")
+    return keep_rows(df, best, _tree(best), "mark", id_col, text_col)
 
 
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -190,6 +190,13 @@ def test_simhash_awkward(spark, awkward, empty):
     assert simhash.near_duplicates(empty).count() == 0
 
 
+def test_keep_first_tells_rows_without_or_with_equal_ids_apart(spark):
+    texts = ["one two three four", "five six seven eight", "nine ten eleven twelve", "red green blue black"]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (5, texts[2]), (5, texts[3]), (5, texts[3]), (None, texts[3]), (4, texts[3].upper()), (None, texts[0].upper())]
+    kept = simhash.keep_first(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert len(kept) == 4 and {(r["doc_id"], r["text"].lower()) for r in kept} == {(None, texts[0]), (None, texts[1]), (5, texts[2]), (4, texts[3])}
+
+
 # ---- token output ---------------------------------------------------------------------------------------------------
 
 def test_op8_round_trip(spark, sf, docs):
