@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from paircuration.llm import decontaminate, mixing, simhash, token_output, toxicity
+from paircuration.llm import decontaminate, mixing, near_copies, token_output, toxicity
 from paircuration.llm.common import scratch, settle
 
 
@@ -19,8 +19,8 @@ def stage_toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def stage_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each SimHash component, the one with the smallest id."""
-    return simhash.keep_first(docs)
+    """One document of each component of near copies (five-word Jaccard of 0.8 or more), the one with the smallest id."""
+    return near_copies.keep_first(docs)
 
 
 def stage_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,5 +1,6 @@
 """The corpus pipeline against a plain version of each filtering stage."""
 
+import random
 import re
 
 from paircuration.llm import decontaminate, simhash
@@ -32,3 +33,40 @@ def test_run(spark, sf):
         at += r["n_tokens"]
     assert out and corpus_pipeline.ORACLE_SQL is None
     assert not re.search("except ImportError", open(corpus_pipeline.__file__).read())
+
+
+def plain_survivors(texts):
+    """Smallest id of each component over five-word Jaccard of 0.8 or more, all pairs compared."""
+    def shingles(text):
+        words = (text or "").encode().lower().split()
+        return {b" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))} if words else set()
+
+    sets, root = {i: shingles(t) for i, t in sorted(texts.items())}, {i: i for i in texts}
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+    ids = list(sets)
+    for n, a in enumerate(ids):
+        for b in ids[n + 1 :]:
+            if 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b]):
+                x, y = sorted((find(a), find(b)))
+                root[y] = x
+    return {find(i) for i in ids}
+
+
+def test_near_copies_against_all_pairs(spark, sf):
+    draw = random.Random(4)
+    texts = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    at = max(texts) + 1
+    for _ in range(60):
+        words = [f"w{draw.randrange(10**6)}" for _ in range(draw.randrange(30, 300))]
+        for cut in (0, 0.01, 0.02, 0.03, 0.04):
+            texts[at] = " ".join(f"x{draw.randrange(10**6)}" if draw.random() < cut else w for w in words)
+            at += 1
+    texts |= {at: "a b c", at + 1: "A  B c", at + 2: "", at + 3: None, at + 4: "a b d"}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id bigint, text string")
+    kept = [r["doc_id"] for r in corpus_pipeline.STAGES[1][1](spark, docs, sf).collect()]
+    assert len(kept) == len(set(kept)) and set(kept) == plain_survivors(texts)
+    empty = corpus_pipeline.stage_near_duplicates(spark, docs.filter("doc_id < 0"), sf)
+    assert empty.columns == docs.columns and empty.count() == 0
