@@ -1,4 +1,4 @@
-"""Cosine neighbours by random-hyperplane bands: the sibling of the token index for vectors."""
+"""All pairs of vectors that reach a cosine, joined exactly in blocks."""
 
 from __future__ import annotations
 
@@ -8,30 +8,37 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def neighbours(df: DataFrame, id_col: str, vector: str, least: float, bands: int = 16, bits: int = 8, seed: int = 7) -> DataFrame:
-    """(lo, hi, cosine) of pairs that share a band and reach the cosine.
+def neighbours(df: DataFrame, id_col: str, vector: str, least: float, block: int = 2048) -> DataFrame:
+    """(lo, hi, cosine) of all pairs of ids lo < hi with equally long vectors that reach the cosine.
 
-    Band keys come from one matrix product per Arrow batch; candidate pairs are verified by exact dot products. Null and
-    zero vectors have no neighbours; vectors of other sizes than the first one are ignored.
+    Vectors of one size are dealt by hash into blocks of about `block`, and every two blocks meet in one matrix product.
+    The work is that of all pairs, so no pair is missed. Null and zero vectors and rows without an id have no neighbours.
     """
-    first = df.filter(F.size(vector) > 0).select(F.size(vector)).first()
-    size = first[0] if first else 1
-    planes = np.random.default_rng(seed).normal(size=(size, bands * bits))
-    weights = 1 << np.arange(bits)
+    rows = df.select(F.col(id_col).cast("bigint").alias("id"), F.col(vector).cast("array<double>").alias("vec")).filter("id IS NOT NULL AND size(vec) > 0")
+    rows = rows.withColumn("size", F.size("vec"))
+    counts = rows.groupBy("size").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
+    placed = rows.join(counts, "size").withColumn("block", F.pmod(F.xxhash64("id", "vec"), "blocks").cast("int"))
+    sent = placed.select("size", "id", "vec", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    sent = sent.select("size", F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second"), "block", "id", "vec")
 
-    def keys(batches):
-        for batch in batches:
-            rows = [(i, v) for i, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()) if v is not None and len(v) == size and any(v)]
-            if rows:
-                x = np.array([v for _, v in rows], dtype=np.float64)
-                x /= np.linalg.norm(x, axis=1, keepdims=True)
-                codes = ((x @ planes >= 0).reshape(len(x), bands, bits) * weights).sum(axis=2)
-                yield pa.record_batch([pa.array([i for i, _ in rows], pa.int64()), pa.array(list(codes), pa.list_(pa.int64())), pa.array(list(x), pa.list_(pa.float64()))], names=["id", "keys", "unit"])
+    def meet(table):
+        vec = table["vec"].combine_chunks()
+        x = vec.flatten().to_numpy(zero_copy_only=False).reshape(len(table), -1)
+        norm = np.linalg.norm(x, axis=1)
+        good = norm > 0
+        x, ids = x[good] / norm[good, None], table["id"].to_numpy()[good]
+        first, second = table["first"][0].as_py(), table["second"][0].as_py()
+        left = table["block"].to_numpy()[good] == first
+        right = left if first == second else ~left
+        (xa, a), (xb, b) = (x[left], ids[left]), (x[right], ids[right])
+        found = []
+        for at in range(0, len(a), 1024):
+            cosine = xa[at : at + 1024] @ xb.T
+            i, j = np.nonzero(cosine >= least)
+            keep = a[at + i] != b[j] if first != second else (at + i < j) & (a[at + i] != b[j])
+            i, j = i[keep], j[keep]
+            found.append((np.minimum(a[at + i], b[j]), np.maximum(a[at + i], b[j]), cosine[i, j]))
+        lo, hi, cosine = (np.concatenate(c) for c in zip(*found)) if found else (np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))
+        return pa.table({"lo": pa.array(lo, pa.int64()), "hi": pa.array(hi, pa.int64()), "cosine": pa.array(cosine, pa.float64())})
 
-    units = df.select(F.col(id_col).cast("bigint").alias("id"), vector).mapInArrow(keys, "id bigint, keys array<bigint>, unit array<double>")
-    idx = units.select("id", F.posexplode("keys").alias("band", "key"))
-    a, b = idx.withColumnRenamed("id", "lo"), idx.withColumnRenamed("id", "hi")
-    pairs = a.join(b, ["band", "key"]).filter("lo < hi").select("lo", "hi").distinct()
-    full = pairs.join(units.select(F.col("id").alias("lo"), F.col("unit").alias("xa")), "lo").join(units.select(F.col("id").alias("hi"), F.col("unit").alias("xb")), "hi")
-    cosine = F.aggregate(F.zip_with("xa", "xb", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    return full.withColumn("cosine", cosine).filter(F.col("cosine") >= least).select("lo", "hi", "cosine")
+    return sent.groupBy("size", "first", "second").applyInArrow(meet, "lo bigint, hi bigint, cosine double")

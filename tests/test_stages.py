@@ -3,6 +3,7 @@
 import math
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -206,3 +207,19 @@ def test_entry_works_without_the_training_operators():
 
     names = entry.queries()
     assert {"curated_pairs", "join_asof", "stream_tumbling"} <= set(names) and set(entry.oracle_sql()) <= set(names)
+
+
+def test_cosine_neighbours_are_all_found(spark):
+    from paircuration.operators.cosine import neighbours
+
+    draw = np.random.default_rng(5)
+    rows = [(None, [1.0] * 16), (900, None), (901, []), (902, [0.0] * 16)]
+    for size in (16, 24):
+        for _ in range(150):
+            a, b = np.linalg.qr(draw.normal(size=(size, 2)))[0].T
+            c = draw.uniform(0.55, 0.7)
+            rows += [(len(rows), [float(v) for v in a]), (len(rows) + 1, [float(v) for v in 3 * (c * a + np.sqrt(1 - c * c) * b)])]
+    good = [(i, np.array(v) / np.linalg.norm(v)) for i, v in rows if i is not None and v and any(v)]
+    want = {(min(i, j), max(i, j)) for n, (i, x) in enumerate(good) for j, y in good[n + 1 :] if len(x) == len(y) and x @ y >= 0.6}
+    got = neighbours(spark.createDataFrame(rows, "k long, v array<double>"), "k", "v", 0.6, block=64).collect()
+    assert len(got) == len(want) and {(r["lo"], r["hi"]) for r in got} == want
