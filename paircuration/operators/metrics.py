@@ -8,11 +8,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-MAX_TOKENS = 2048
 
-
-def tokens(text: Column, limit: int = MAX_TOKENS) -> Column:
-    return F.slice(F.filter(F.split(F.lower(text), "[ \n\t]+"), lambda t: t != ""), 1, limit)
+def tokens(text: Column, limit: int | None = None) -> Column:
+    """Tokens of the whole text, or the first `limit`."""
+    found = F.filter(F.split(F.lower(text), "[ \n\t]+"), lambda t: t != "")
+    return found if limit is None else F.slice(found, 1, limit)
 
 
 def _grams(df: DataFrame, id_col: str, column: str, max_n: int) -> DataFrame:

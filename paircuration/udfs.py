@@ -24,7 +24,7 @@ def _jaccard(a: pd.Series, b: pd.Series) -> pd.Series:
 
 def _lcs(a: pd.Series, b: pd.Series) -> pd.Series:
     def one(x, y):
-        p, q = (x or "").lower().split()[:2048], (y or "").lower().split()[:2048]
+        p, q = (x or "").lower().split(), (y or "").lower().split()
         n = lcs_value(p, q)
         return 2.0 * n / (len(p) + len(q)) if n else 0.0
     return pd.Series([one(x, y) for x, y in zip(a, b)], dtype="float64")

@@ -223,3 +223,15 @@ def test_cosine_neighbours_are_all_found(spark):
     want = {(min(i, j), max(i, j)) for n, (i, x) in enumerate(good) for j, y in good[n + 1 :] if len(x) == len(y) and x @ y >= 0.6}
     got = neighbours(spark.createDataFrame(rows, "k long, v array<double>"), "k", "v", 0.6, block=64).collect()
     assert len(got) == len(want) and {(r["lo"], r["hi"]) for r in got} == want
+
+
+def test_measures_use_whole_texts(spark):
+    import pandas as pd
+
+    from paircuration import udfs
+
+    same, a, b = " ".join(["same"] * 2048), " ".join(f"a{i}" for i in range(600)), " ".join(f"b{i}" for i in range(600))
+    row = spark.createDataFrame([(f"{same} {a}", f"{same} {b}")], "x string, y string").select(metrics.tokens(F.col("x")).alias("cand"), metrics.tokens(F.col("y")).alias("ref"))
+    got = metrics.lcs_overlap(row).first()
+    assert len(got["cand"]) == 2648 and got["lcs"] == 2048 and abs(got["lcs_f"] - 2048 / 2648) < 1e-9
+    assert abs(udfs._lcs(pd.Series([f"{same} {a}"]), pd.Series([f"{same} {b}"]))[0] - 2048 / 2648) < 1e-9
