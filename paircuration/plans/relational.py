@@ -103,7 +103,7 @@ def source_tree_reader(spark, sf):
 
     spark.dataSource.register(SourceTree)
     path = fresh(spark, "tree")
-    load(spark, sf, "documents", ["text"]).limit(20).write.text(path)
+    load(spark, sf, "documents", ["text"]).write.text(path)
     return spark.read.format("source_tree").option("path", path).option("suffix", ".txt").load().select(F.length("source").alias("chars"), "language")
 
 

@@ -235,3 +235,10 @@ def test_measures_use_whole_texts(spark):
     got = metrics.lcs_overlap(row).first()
     assert len(got["cand"]) == 2648 and got["lcs"] == 2048 and abs(got["lcs_f"] - 2048 / 2648) < 1e-9
     assert abs(udfs._lcs(pd.Series([f"{same} {a}"]), pd.Series([f"{same} {b}"]))[0] - 2048 / 2648) < 1e-9
+
+
+def test_source_tree_reader_takes_all_documents(spark, sf):
+    from paircuration.plans import relational
+
+    lines = [r["text"] or "" for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").collect()]
+    assert sum(r["chars"] for r in relational.QUERIES["source_tree_reader"](spark, sf).collect()) == sum(len(t) + 1 for t in lines)
