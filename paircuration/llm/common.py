@@ -9,6 +9,8 @@ import time
 import uuid
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -73,6 +75,21 @@ def attach(rows: DataFrame, groups: DataFrame, key: str, size: str, share: int =
     return first.select(*rows.columns, *extra).unionByName(rest.select(*rows.columns, *extra))
 
 
+def pieces(texts: pa.Array, most_bytes: int = 1 << 20, most_rows: int = 512):
+    """(from, to) of runs of rows with about `most_bytes` of text; a longer text is a run of its own.
+
+    Whatever works on a run holds memory by bytes, not by rows.
+    """
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False)
+    upto = np.concatenate([[0], np.cumsum(sizes, dtype=np.int64)])
+    at = 0
+    while at < len(texts):
+        to = int(np.searchsorted(upto, upto[at] + most_bytes, side="right")) - 1
+        to = min(max(to, at + 1), at + most_rows, len(texts))
+        yield at, to
+        at = to
+
+
 def sigmoid(x):
     return 1.0 / (1.0 + np.exp(-np.clip(x, -40, 40)))
 

@@ -29,6 +29,14 @@ WORDS, SEED = 3, 42
 _weights = np.left_shift(np.uint64(1), np.arange(64, dtype=np.uint64))
 
 
+def majority(hashes: np.ndarray) -> int:
+    """Unsigned 64-bit value whose bits are those set in more than half of the hashes."""
+    count = np.zeros(64, dtype=np.int64)
+    for at in range(0, len(hashes), 16384):
+        count += np.unpackbits(hashes[at : at + 16384].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(_weights[2 * count > len(hashes)].sum())
+
+
 def fingerprint(text: bytes) -> int:
     """Unsigned 64-bit SimHash: a bit is set if more than half of all shingle hashes have it, repeats included."""
     words = text.lower().split()  # bytes: A-Z only, and ASCII white space only
@@ -115,11 +123,13 @@ def links(marks: DataFrame) -> DataFrame:
 def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     """(node, root): the smallest node reachable, by alternating large-star and small-star rounds.
 
-    `edges` has columns a and b of one integer type.  Each round is a handful of shuffles over the remaining edges and is
-    settled in the shared folder; the number of rounds grows with the logarithm of the graph's size.
+    `edges` has columns a and b of one type.  Each node's least neighbour is a map-side minimum that is joined back, so
+    the many edges of one star centre are never gathered: the adaptive skew join may split them.  Every round is settled
+    in the shared folder; the number of rounds grows with the logarithm of the graph's size.
     """
     def hooked(df):
-        return df.withColumn("m", F.least(F.min("v").over(Window.partitionBy("u")), F.col("u")))
+        least = df.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
+        return df.join(least.hint("merge"), "u")
 
     now = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct()
     now, before = settle(now, "edges"), None
