@@ -55,19 +55,16 @@ def _symbols(text: Column) -> Column:
         code = F.ascii(ch)
         return (F.when((code >= 97) & (code <= 122), code - 96).when((code >= 48) & (code <= 57), F.lit(27))
                 .when(code == 46, F.lit(28)).when(code == 45, F.lit(29)).when(code == 47, F.lit(30)).otherwise(F.lit(31)))
-    return F.transform(F.split(F.lower(text), ""), fold)
+    return F.when(F.length(text) > 0, F.transform(F.split(F.translate(text, _UPPER, _LOWER), ""), fold)).otherwise(F.expr("cast(array() as array<int>)"))
 
 
-def _grams(text: Column) -> Column:
+def _grams(symbols: Column) -> Column:
     """Each position's symbol with the three before it (zeros before the start), packed into 20 bits."""
-    mask = (1 << (5 * ORDER)) - 1
-    start = F.struct(F.lit(0).alias("last"), F.expr("cast(array() as array<int>)").alias("all"))
-
-    def step(state, symbol):
-        code = (state["last"] * SYMBOLS + symbol).bitwiseAND(F.lit(mask))
-        return F.struct(code.alias("last"), F.concat(state["all"], F.array(code)).alias("all"))
-
-    return F.when(F.length(text) > 0, F.aggregate(_symbols(text), start, step, lambda s: s["all"])).otherwise(F.expr("cast(array() as array<int>)"))
+    def packed(symbol, i):
+        for back in range(1, ORDER):
+            symbol = symbol + F.coalesce(F.get(symbols, i - back), F.lit(0)) * (SYMBOLS ** back)
+        return symbol
+    return F.transform(symbols, packed)
 
 
 def train(urls: DataFrame) -> DataFrame:
@@ -75,7 +72,7 @@ def train(urls: DataFrame) -> DataFrame:
 
     `urls` has columns spelled (the string) and label (1 accepted, 0 rejected, null neither).
     """
-    flat = urls.select("label", F.explode(_grams(F.col("spelled"))).alias("gram"))
+    flat = urls.select("label", _symbols(F.col("spelled")).alias("symbols")).select("label", F.explode(_grams(F.col("symbols"))).alias("gram"))
     full = settle(flat.groupBy("gram").agg(F.count_if(F.col("label") == 1).alias("a"), F.count_if(F.col("label") == 0).alias("b")), "grams")
     model = None
     for k in range(1, ORDER + 1):
@@ -103,11 +100,11 @@ def scored(urls: DataFrame, model: DataFrame) -> DataFrame:
     Positions are summed map-side right after they are made, so one row per URL is shuffled.
     """
     names = urls.columns
-    flat = urls.select(*names, F.explode_outer(_grams(F.col("spelled"))).alias("gram"))
-    met = flat.join(F.broadcast(model), "gram", "left")  # bounded by the alphabet: at most 32^4 rows
-    size = F.greatest(F.length("spelled"), F.lit(1))
-    return met.groupBy(*names).agg(F.count(F.lit(1)).alias("positions"), F.coalesce(F.sum("ratio"), F.lit(0.0)).alias("total")).select(
-        *names, (F.col("positions") / size).cast("int").alias("copies"), (F.col("total") / F.col("positions")).alias("score"))
+    flat = urls.select(*names, _symbols(F.col("spelled")).alias("_symbols"))
+    flat = flat.select(*names, F.greatest(F.size("_symbols"), F.lit(1)).alias("_sites"), F.explode_outer(_grams(F.col("_symbols"))).alias("_gram"))
+    met = flat.join(F.broadcast(model.toDF("_gram", "_ratio")), "_gram", "left")  # bounded by the alphabet: at most 32^4 rows
+    return met.groupBy(*names, "_sites").agg(F.count(F.lit(1)).alias("_positions"), F.coalesce(F.sum("_ratio"), F.lit(0.0)).alias("_total")).select(
+        *names, (F.col("_positions") / F.col("_sites")).cast("int").alias("copies"), (F.col("_total") / F.col("_positions")).alias("score"))
 
 
 def calibrate(held: DataFrame) -> float:
