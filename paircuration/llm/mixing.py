@@ -7,8 +7,8 @@ and one residual vector of the driver; a document's rate is a fixed function of
 far, so no rate ever has to be stored or joined.
 
 Rates are clipped to [floor, cap].  Realised copies are the rate's whole part plus one with the probability of the
-rest, drawn from a hash of the id.  Domains are the label's values in the labelled rows (at most `max_domains`).  Null
-text counts as empty with zero tokens and the classifier's prior posterior; repeated rows are drawn alike; without
+rest, drawn from a hash of id and text.  Domains are all values of the label in the labelled rows; null labels are
+left out.  Null text counts as empty with zero tokens and the classifier's prior posterior; repeated rows are drawn alike; without
 labelled rows there is one domain and every rate is the target total over the corpus; an empty table gives no rows;
 extra columns pass through `mix`.
 """
@@ -21,10 +21,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from paircuration.llm.common import settle
+from paircuration.llm.common import pieces, settle
 
 BUCKETS = 512
-PER_DOMAIN = 1500
+PER_DOMAIN = 1500  # labelled rows of a domain that the classifier is expected to see, and
+MOST_ROWS = 12_000  # of all domains together (but eight of a domain at least)
 
 
 def features(text: bytes) -> tuple[np.ndarray, int]:
@@ -48,20 +49,20 @@ class Membership:
 
 
 def fit_membership(docs: DataFrame, labelled: DataFrame, domain_col: str, id_col: str = "doc_id", text_col: str = "text",
-                   per_domain: int = PER_DOMAIN, max_domains: int = 64, rounds: int = 300) -> Membership:
-    """Fit on at most `per_domain` labelled documents of each domain, chosen by a hash of the id.
+                   per_domain: int = PER_DOMAIN, most_rows: int = MOST_ROWS, rounds: int = 300) -> Membership:
+    """Fit on a sample of about `per_domain` labelled documents of each domain, and about `most_rows` in all.
 
-    `labelled` has the id and the domain of the rows whose domain is known.
+    `labelled` has the id and the domain of the rows whose domain is known.  A row is in the sample if the hash of its id
+    is below its domain's share, so small domains are there whole and no domain is left out.
     """
     marked = labelled.select(F.col(id_col).alias("row_key"), F.col(domain_col).cast("string").alias("domain")).na.drop()
-    domains = sorted(r[0] for r in marked.groupBy("domain").count().orderBy(F.desc("count"), "domain").limit(max_domains).collect())
+    held = marked.groupBy("domain").agg(F.count(F.lit(1)).alias("n"))
+    domains = sorted(r[0] for r in held.collect())
     if not domains:
         return Membership(["all"], np.zeros((BUCKETS + 1, 1)))
-    order = F.xxhash64("row_key", F.lit("mixing"))
-    chosen = None
-    for d in domains:
-        own = marked.filter(F.col("domain") == d).orderBy(order).limit(per_domain)
-        chosen = own if chosen is None else chosen.union(own)
+    each = max(8, min(per_domain, most_rows // len(domains)))
+    draw = F.pmod(F.xxhash64("row_key", F.lit("mixing")), F.lit(1 << 30)) / float(1 << 30)
+    chosen = marked.join(held, "domain").filter(draw < F.lit(float(each)) / F.col("n")).select("domain", "row_key")
 
     def measure(batches):
         for batch in batches:
@@ -73,6 +74,8 @@ def fit_membership(docs: DataFrame, labelled: DataFrame, domain_col: str, id_col
     x = np.stack([np.frombuffer(b, np.float32) for b in rows["x"]]).astype(np.float64) if len(rows) else np.zeros((0, BUCKETS))
     y = np.array([domains.index(d) for d in rows["domain"]], dtype=np.int64)
     x = np.hstack([x, np.ones((len(x), 1))])
+    order = np.lexsort((x[:, 0], x.sum(axis=1), y))  # the same sums whatever order the rows came in
+    x, y = x[order], y[order]
     target = np.eye(len(domains))[y]
     weights, speed = np.zeros((BUCKETS + 1, len(domains))), np.zeros((BUCKETS + 1, len(domains)))
     rate = 4.0
@@ -126,8 +129,9 @@ def memberships(docs: DataFrame, model: Membership, text_col: str = "text") -> D
     """(tokens, posterior) of every document. Narrow."""
     def run(batches):
         for batch in batches:
-            found = [features(t.as_py()) for t in pc.fill_null(batch.column(0), "").cast(pa.large_binary())]
-            if found:
+            texts = pc.fill_null(batch.column(0), "").cast(pa.large_binary())
+            for at, to in pieces(texts):
+                found = [features(t.as_py()) for t in texts.slice(at, to - at)]
                 p = model.posteriors(np.stack([f[0] for f in found]))
                 yield pa.record_batch([pa.array([f[1] for f in found], pa.int64()), pa.array(list(p), pa.list_(pa.float64()))], names=["tokens", "posterior"])
 
@@ -162,41 +166,51 @@ def fit(docs: DataFrame, labelled: DataFrame, weights: dict[str, float] | None,
     return Mixture(model, steps, floor, cap, errors, dict(zip(model.domains, targets.tolist())))
 
 
+def _dealt(mixture: Mixture, texts: pa.Array, draws: np.ndarray):
+    """(from, to, rate, posterior, tokens, copies) of runs of rows that hold about a megabyte of text."""
+    texts = pc.fill_null(texts.cast(pa.string()), "").cast(pa.large_binary())
+    for at, to in pieces(texts):
+        rate, p, n = mixture.judge(texts.slice(at, to - at))
+        yield at, to, rate, p, n, np.floor(rate + 1 - draws[at:to] - 1e-12).astype(np.int64)
+
+
+def _draw(id_col: str, text_col: str):
+    """A number in [0, 1) that a row's id and text decide."""
+    both = F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.col(text_col).cast("string"), F.lit("copies"))
+    return F.pmod(both, F.lit(1 << 30)) / float(1 << 30)
+
+
 def rates(docs: DataFrame, mixture: Mixture, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, tokens, domain, posterior, rate, copies) of every document. Narrow."""
     sent = docs.sparkSession.sparkContext.broadcast(mixture)
     kind = docs.schema[id_col].dataType.simpleString()
-    draw = F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit("copies")), F.lit(1 << 30)) / float(1 << 30)
 
     def run(batches):
         for batch in batches:
-            if len(batch):
-                rate, p, n = sent.value.judge(pc.fill_null(batch.column(1), "").cast(pa.large_binary()))
-                copies = np.floor(rate + 1 - batch.column(2).to_numpy(zero_copy_only=False) - 1e-12).astype(np.int32)
+            for at, to, rate, p, n, copies in _dealt(sent.value, batch.column(1), batch.column(2).to_numpy(zero_copy_only=False)):
                 names = [sent.value.model.domains[i] for i in p.argmax(axis=1)]
-                yield pa.record_batch([batch.column(0), pa.array(n), pa.array(names), pa.array(list(p), pa.list_(pa.float64())), pa.array(rate), pa.array(copies)],
-                                      names=["row_key", "tokens", "domain", "posterior", "rate", "copies"])
+                yield pa.record_batch([batch.column(0).slice(at, to - at), pa.array(n), pa.array(names), pa.array(list(p), pa.list_(pa.float64())), pa.array(rate),
+                                       pa.array(copies.astype(np.int32))], names=["row_key", "tokens", "domain", "posterior", "rate", "copies"])
 
-    found = docs.select(F.col(id_col).alias("row_key"), F.col(text_col).cast("string").alias("body"), draw.alias("draw")).mapInArrow(
+    found = docs.select(F.col(id_col).alias("row_key"), F.col(text_col).cast("string").alias("body"), _draw(id_col, text_col).alias("draw")).mapInArrow(
         run, f"row_key {kind}, tokens bigint, domain string, posterior array<double>, rate double, copies int")
     return found.withColumnRenamed("row_key", id_col)
 
 
 def mix(docs: DataFrame, mixture: Mixture, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The documents repeated as often as their rates say, with all their columns. Narrow."""
+    """The documents repeated as often as their rates say, with all their columns, whatever those are called. Narrow."""
     sent = docs.sparkSession.sparkContext.broadcast(mixture)
-    draw = F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit("copies")), F.lit(1 << 30)) / float(1 << 30)
-    column, names = docs.columns.index(text_col), docs.columns
+    column, width, names = docs.columns.index(text_col), len(docs.columns), docs.columns
 
     def run(batches):
         for batch in batches:
-            for at in range(0, len(batch), 512):
-                part = batch.slice(at, 512)
-                rate, _, _ = sent.value.judge(pc.fill_null(part.column(column).cast(pa.string()), "").cast(pa.large_binary()))
-                copies = np.floor(rate + 1 - part.column(len(names)).to_numpy(zero_copy_only=False) - 1e-12).astype(np.int64)
-                yield part.take(pa.array(np.repeat(np.arange(len(part)), copies))).select(names)
+            for at, to, _, _, _, copies in _dealt(sent.value, batch.column(column), batch.column(width).to_numpy(zero_copy_only=False)):
+                part = batch.slice(at, to - at)
+                part = pa.RecordBatch.from_arrays(part.columns[:width], names=names)
+                for times in range(1, int(copies.max(initial=0)) + 1):  # one copy at a time: a batch never outgrows its input
+                    yield part.filter(pa.array(copies >= times))
 
-    return docs.withColumn("_draw", draw).mapInArrow(run, docs.schema)
+    return docs.select(*[F.col(f"`{c}`") for c in names], _draw(id_col, text_col).alias("draw " + " ".join(names))).mapInArrow(run, docs.schema)
 
 
 #: Production target: shares of expected words by language.
