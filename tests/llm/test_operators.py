@@ -50,17 +50,35 @@ def test_op2_sql(spark, sf, duck):
 
 
 def test_exact_dedup_batches_and_awkward_rows(spark, awkward, empty):
-    index = exact_dedup.DigestIndex(spark)
-    first = exact_dedup.deduplicate(awkward.filter("doc_id < 8"), index)
+    folder = scratch(spark, "index-test")
+    index = exact_dedup.DigestIndex(spark, folder, 4)
+    first = exact_dedup.deduplicate(awkward.filter("doc_id < 8"), index, "one")
     got = {r["doc_id"]: (r["keep_id"], r["group_size"], r["kept"]) for r in first.collect()}
     assert got[1] == (2, 2, False) and got[2] == (2, 2, True) and got[3] == (4, 2, False) and got[4] == (4, 2, True) and got[6] == (6, 1, True)
-    second = exact_dedup.deduplicate(spark.createDataFrame([(20, "HELLO world again"), (21, "new"), (22, "NEW")], "doc_id bigint, text string"), index)
-    got = {r["doc_id"]: (r["keep_id"], r["kept"]) for r in second.collect()}
-    assert got == {20: (2, False), 21: (22, False), 22: (22, True)}
-    assert spark.table(index.table).count() == spark.table(index.table).select("digest").distinct().count()
-    index.drop()
-    assert exact_dedup.deduplicate(empty, exact_dedup.DigestIndex(spark)).count() == 0
-    assert exact_dedup.deduplicate(awkward, exact_dedup.DigestIndex(spark)).count() == len(AWKWARD)
+    more = spark.createDataFrame([(20, "HELLO world again"), (21, "new"), (22, "NEW")], "doc_id bigint, text string")
+    want = {20: (2, False), 21: (22, False), 22: (22, True)}
+    assert {r["doc_id"]: (r["keep_id"], r["kept"]) for r in exact_dedup.deduplicate(more, index, "two").collect()} == want
+    index.forget()
+    again = exact_dedup.DigestIndex(spark, folder)  # as a later session finds it
+    assert again.buckets == 4
+    for _ in range(2):  # a batch that is run again gets the results of its first run
+        assert {r["doc_id"]: (r["keep_id"], r["kept"]) for r in exact_dedup.deduplicate(more, again, "two").collect()} == want
+    assert again.rows().count() == again.rows().select("digest").distinct().count()
+    again.compact()
+    assert exact_dedup.DigestIndex(spark, folder).version == 1
+    assert {r["doc_id"]: (r["keep_id"], r["kept"]) for r in exact_dedup.deduplicate(more, again, "three").collect()} == {20: (2, False), 21: (22, False), 22: (22, False)}
+    assert exact_dedup.deduplicate(empty, again, "four").count() == 0
+    rows = exact_dedup.deduplicate(awkward.filter("doc_id = 8 OR doc_id IS NULL"), again, "five").collect()
+    assert sorted((r["doc_id"] or 0, r["kept"]) for r in rows) == [(0, True), (8, True), (8, True)]
+
+
+def test_exact_dedup_uses_a_sort_merge_anti_join(spark, awkward):
+    index = exact_dedup.DigestIndex(spark, buckets=4)
+    marked = settle(exact_dedup.digests(awkward, "doc_id", "text"), "digests")
+    exact_dedup.admit(marked, index, "one")
+    groups = marked.groupBy("digest").agg(F.max("row_key").alias("keep_id"))
+    plan = groups.join(index.rows().select("digest").hint("merge"), "digest", "left_anti")._jdf.queryExecution().toString()
+    assert "SortMergeJoin" in plan and "LeftAnti" in plan and "Bucketed: true" in plan
 
 
 def test_attach_hot_and_null_keys(spark):
@@ -101,6 +119,27 @@ def test_sharding_awkward_and_hot(spark, awkward, empty):
     assert {r["count"] for r in counts} == {250}
 
 
+@pytest.mark.parametrize("law", ["bytes", "rows", "key"])
+def test_sharding_with_a_giant_text_and_equal_rows(spark, law):
+    rows = spark.range(20_000).selectExpr("id AS doc_id", "substr(md5(cast(id AS string)), 1, 10) AS text")
+    giant = spark.createDataFrame([(-1, "x" * 48_000)], "doc_id bigint, text string")
+    equal = spark.range(5_000).selectExpr("cast(NULL AS bigint) AS doc_id", "'same row' AS text")
+    df = rows.union(giant).union(equal)
+    got = sharding.shard(df, 8, law).select("doc_id", "size", "shard", "slot").collect()
+    assert len(got) == 25_001
+    sizes = []
+    for k in range(8):
+        own = [r for r in got if r["shard"] == k]
+        assert sorted(r["slot"] for r in own) == list(range(len(own)))
+        sizes.append(sum(r["size"] for r in own) if law == "bytes" else len(own))
+    if law == "bytes":
+        assert max(sizes) - min(sizes) <= 2 * 48_001
+        ordered = sorted(sizes)
+        assert ordered[-2] - ordered[1] <= 48_001
+    if law == "rows":
+        assert max(sizes) - min(sizes) <= 1
+
+
 # ---- decontamination ------------------------------------------------------------------------------------------------
 
 def test_op7_sql(spark, sf, duck):
@@ -280,10 +319,26 @@ def test_ledger_scans_each_blob_once(spark, awkward, empty):
     assert secrets.scan_versions(empty, ledger).count() == 0
     got = secrets.scan_versions(awkward, ledger).collect()
     assert len(got) == len(AWKWARD)
-    size = ledger.rows(secrets.VERSION).count()
-    assert secrets.scan_versions(awkward, ledger).count() == len(AWKWARD) and ledger.rows(secrets.VERSION).count() == size
-    secrets.scan_versions(awkward, ledger, version="rules-2").count()
-    assert ledger.rows("rules-2").count() == size
+    version = secrets.version_of(secrets.RULES)
+    size = ledger.rows(version).count()
+    assert secrets.scan_versions(awkward, ledger).count() == len(AWKWARD) and ledger.rows(version).count() == size
+    base = [r["spans"] for r in secrets.scan_versions(awkward, ledger, secrets.BASE_RULES).collect()]
+    assert ledger.rows(secrets.version_of(secrets.BASE_RULES)).count() == size == ledger.rows(version).count()
+    assert {x["kind"] for row in base for x in row} <= {r[0] for r in secrets.BASE_RULES}
+
+
+def test_rules_decide_the_ledger_version(spark):
+    token = spark.createDataFrame([(1, "x eyJabcdefgh.eyJabcdefgh.abcdefgh y")], "doc_id bigint, text string")
+    ledger = secrets.BlobLedger(spark)
+    assert secrets.scan_versions(token, ledger, secrets.BASE_RULES).collect()[0]["spans"] == []
+    assert [x["kind"] for x in secrets.scan_versions(token, ledger, secrets.RULES).collect()[0]["spans"]] == ["webtoken"]
+
+
+def test_many_spans_in_one_text(spark):
+    text = "".join(f"é{i} {i:016x}; " for i in range(30_000))
+    rows = secrets.scan_versions(spark.createDataFrame([(1, text)], "doc_id bigint, text string"), secrets.BlobLedger(spark)).collect()
+    got = [(x["start"], x["end"]) for x in rows[0]["spans"]]
+    assert got == [m.span() for m in re.finditer(r"[0-9a-f]{16,}", text)]
 
 
 # ---- urls -----------------------------------------------------------------------------------------------------------
@@ -314,6 +369,8 @@ def test_url_awkward(spark, empty):
         assert (r["host"], r["path"], r["rule"]) == (host, path, rule) and (verdict is None or r["verdict"] == verdict)
     repeated = spark.createDataFrame([(1, "http://b.com/en/2")] * 5 + [(1, None)] * 3, "page_id bigint, url string")
     assert url_filter.judge(repeated).count() == 8
+    longer = [(1, "http://İ"), (2, "http://İİ"), (2, "http://İİ"), (3, "http://\U0001f600"), (4, "http://\U0001f600\U0001f600/x")]  # lower-casing or UTF-16 make these longer
+    assert sorted(r["page_id"] for r in url_filter.judge(spark.createDataFrame(longer, "page_id bigint, url string")).collect()) == [1, 2, 2, 3, 4]
     assert url_filter.judge(spark.createDataFrame([], "page_id bigint, url string")).count() == 0
 
 
@@ -413,6 +470,34 @@ def test_mixing_meets_targets(spark, sf, awkward, empty):
     assert {round(r["rate"], 2) for r in mixing.rates(awkward, single).collect()} == {2.0}
 
 
+def test_mixing_many_domains_and_any_column_name(spark):
+    rows = [(i, f"{chr(97 + i % 25)}{chr(97 + i // 4 % 25)} " * 20, f"d{i % 100}", "x", 1.5) for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, _draw string, draw double")
+    mixture = mixing.fit(df, df.select("doc_id", F.when(F.col("doc_id") % 7 > 0, F.col("lang")).alias("lang")), None)
+    assert len(mixture.model.domains) == 100
+    out = mixing.mix(df, mixture)
+    assert out.columns == df.columns and out.filter("_draw <> 'x' OR draw <> 1.5").count() == 0
+
+
+def test_mixing_posteriors_and_copies_by_hand(spark):
+    texts = ["aa bb aa", "cc dd", "", "aa cc bb dd", "zz"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    rng = np.random.default_rng(2)
+    model = mixing.Membership(["p", "q"], rng.normal(size=(mixing.BUCKETS + 1, 2)))
+    steps = np.array([[0.4, -0.2], [0.1, 0.3]])
+    mixture = mixing.Mixture(model, steps, 0.0, 3.0, [], {})
+    for r in mixing.rates(df, mixture).collect():
+        data, x = texts[r["doc_id"]].encode(), np.zeros(mixing.BUCKETS)
+        for a, b in zip(data, data[1:]):
+            x[(a * 31 + b * 257 + (a >> 3)) % mixing.BUCKETS] += 1
+        z = np.sqrt(x / max(1, len(data) - 1)) @ model.weights[:-1] + model.weights[-1]
+        p = np.exp(z) / np.exp(z).sum()
+        rate = 1.0
+        for s in steps:
+            rate = min(3.0, max(0.0, rate + p @ s))
+        assert np.allclose(r["posterior"], p) and abs(r["rate"] - rate) < 1e-12 and r["copies"] in (int(rate), int(rate) + 1)
+
+
 def test_projected_gradient_reaches_least_squares(spark):
     draw = np.random.default_rng(4)
     p = draw.dirichlet([1, 1, 1], size=200)
