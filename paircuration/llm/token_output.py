@@ -2,12 +2,13 @@
 
 A shard file holds whole documents in id order.  Each frame is a self-contained zstandard frame of a few documents:
 a count, their ids and lengths, then their token ids as little-endian unsigned integers of two or four bytes.  The file
-ends in a seek table in the public seekable layout: a skippable frame with the compressed size, raw size and checksum
-(low 32 bits of XXH64 of the raw bytes) of every frame.  A reader fetches the table from the end of the file and
-decompresses only the frames of the documents it wants.
+ends in two skippable frames: a directory of the first and last document id of every frame, and a seek table in the
+public seekable layout, with the compressed size, raw size and checksum (low 32 bits of XXH64 of the raw bytes) of every
+frame.  A reader fetches both from the end of the file and decompresses only the frames of the documents it wants.
 
 Defined results: null text counts as empty, and an empty document is just the end id; null ids sort first; repeated
-ids follow each other in text order; an empty table writes no file and gives no rows; extra columns are ignored.
+ids follow each other in the order of their texts' hashes; an empty table writes no file and gives no rows; extra columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -26,13 +27,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from paircuration.llm.common import scratch
+from paircuration.llm.common import pieces, scratch
 
 # Fixed values of the seekable zstandard layout: skippable-frame magic, footer magic, descriptor with the checksum bit.
 SKIPPABLE, FOOTER, CHECKSUMS = 0x184D2A5E, 0x8F92EAB1, 0x80
+DIRECTORY = 0x184D2A5D  # another skippable-frame magic, ours for the directory
 FRAME_TOKENS = 1 << 18
 NO_ID = -(1 << 63)
-_CACHE_WORDS = 500_000
+_CACHE_WORDS = 1_000_000
 # Letters a-z and Latin-1 (UTF-8 lead byte C3 but for its two signs), then ASCII marks without the apostrophe.
 _LETTERS_MARKS = re.compile(rb"((?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)([!-&(-/:-@\[-`{-~]+)")
 
@@ -142,7 +144,7 @@ class FrameWriter:
     """Appends documents to a shard file."""
 
     def __init__(self, sink, dtype):
-        self.sink, self.dtype, self.table = sink, np.dtype(dtype), []
+        self.sink, self.dtype, self.table, self.ends = sink, np.dtype(dtype), [], []
         self.pack = zstandard.ZstdCompressor(level=1)
         self.keys, self.rows, self.held = [], [], 0
 
@@ -162,10 +164,13 @@ class FrameWriter:
         packed = self.pack.compress(raw)
         self.sink.write(packed)
         self.table.append((len(packed), len(raw), xxhash.xxh64_intdigest(raw) & 0xFFFFFFFF))
+        self.ends += [self.keys[0], self.keys[-1]]
         self.keys, self.rows, self.held = [], [], 0
 
     def close(self) -> None:
         self.flush()
+        held = np.array(self.ends, "<i8").tobytes()
+        self.sink.write(struct.pack("<II", DIRECTORY, len(held)) + held)
         body = b"".join(struct.pack("<III", *x) for x in self.table) + struct.pack("<IBI", len(self.table), CHECKSUMS, FOOTER)
         self.sink.write(struct.pack("<II", SKIPPABLE, len(body)) + body)
         self.sink.close()
@@ -180,6 +185,11 @@ class FrameReader:
         count, flags, magic = struct.unpack("<IBI", source.read(9))
         if magic != FOOTER or flags != CHECKSUMS:
             raise ValueError("no seek table at the end of the file")
+        source.seek(size - 9 - 28 * count - 16)
+        magic, held = struct.unpack("<II", source.read(8))
+        if magic != DIRECTORY or held != 16 * count:
+            raise ValueError("no directory before the seek table")
+        self.ends = np.frombuffer(source.read(held), "<i8").reshape(count, 2)  # first and last id of each frame
         source.seek(size - 9 - 12 * count)
         table = np.frombuffer(source.read(12 * count), "<u4").reshape(count, 3).astype(np.int64)
         self.packed, self.raw, self.sums = table[:, 0], table[:, 1], table[:, 2]
@@ -214,14 +224,16 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_c
     file under a name of its attempt, so a task that is run again never meets a half-written file.  The list has one
     entry per file.
     """
-    source = docs.select(F.col(id_col).cast("bigint").alias("row_key"), F.col(text_col).cast("string").alias("body"))
-    ranged = source.repartitionByRange(shards, "row_key") if shards else source.repartitionByRange("row_key")
+    source = docs.select(F.col(id_col).cast("bigint").alias("row_key"), F.col(text_col).cast("string").alias("body")).select(
+        "row_key", "body", F.xxhash64("body").alias("place"), F.monotonically_increasing_id().alias("grain"))
+    order = ["row_key", "place", "grain"]  # so that rows of one id, or of none, can be dealt to several shards
+    ranged = source.repartitionByRange(shards, *order) if shards else source.repartitionByRange(*order)
 
     def write(batches):
         writer, coder, first, docs_n, tokens = None, None, None, 0, 0
         for batch in batches:
             keys, texts = batch.column(0).to_pylist(), pc.fill_null(batch.column(1), "").cast(pa.large_binary())
-            for at in range(0, len(keys), 256):
+            for at, to in pieces(texts):
                 if writer is None:
                     context = TaskContext.get()
                     files, base = _open(folder)
@@ -229,7 +241,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_c
                     name = f"part-{context.partitionId():06d}-{context.taskAttemptId()}.zst"
                     coder = encoder(tokenizer)
                     writer, first = FrameWriter(files.open_output_stream(f"{base}/{name}", compression=None), coder.dtype), context.partitionId()
-                for key, ids in zip(keys[at : at + 256], coder.encode(texts.slice(at, 256).to_pylist(), end_id)):
+                for key, ids in zip(keys[at:to], coder.encode(texts.slice(at, to - at).to_pylist(), end_id)):
                     writer.add(key, ids)
                     docs_n, tokens = docs_n + 1, tokens + len(ids)
         if writer is not None:
@@ -237,7 +249,7 @@ def write_shards(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_c
             yield pa.record_batch([pa.array([first], pa.int32()), pa.array([name]), pa.array([docs_n], pa.int64()), pa.array([tokens], pa.int64())],
                                   names=["part", "file", "docs", "tokens"])
 
-    done = ranged.sortWithinPartitions("row_key", "body").mapInArrow(write, "part int, file string, docs bigint, tokens bigint")
+    done = ranged.sortWithinPartitions(*order).select("row_key", "body").mapInArrow(write, "part int, file string, docs bigint, tokens bigint")
     return [(f"{folder}/{r[1]}", r[2], r[3]) for r in sorted(done.collect())]
 
 
@@ -266,26 +278,24 @@ def read_shards(spark: SparkSession, files: list[tuple[str, int, int]]) -> DataF
 
 
 def lookup(path: str, wanted: set[int]) -> dict[int, np.ndarray]:
-    """Token ids of some documents of one shard, decompressing only frames whose id range can hold them."""
+    """Token ids of some documents of one shard; only frames whose id range holds a wanted id are read.
+
+    Of rows that share an id, the first is returned.
+    """
     files, name = _open(path)
     found: dict[int, np.ndarray] = {}
     with files.open_input_file(name) as source:
         reader = FrameReader(source)
-        low, high = 0, len(reader)
-        heads: dict[int, tuple] = {}
-        def frame(k):
-            if k not in heads:
-                heads[k] = reader.frame(k)
-            return heads[k]
+        by_frame: dict[int, list[int]] = {}
         for key in sorted(wanted):
-            low, high = 0, len(reader)
-            while low < high:
-                mid = (low + high) // 2
-                low, high = (mid + 1, high) if frame(mid)[0][-1] < key else (low, mid)
-            if low < len(reader):
-                keys, ids = frame(low)
-                at = int(np.searchsorted(keys, key))
-                if at < len(keys) and keys[at] == key:
+            k = int(np.searchsorted(reader.ends[:, 1], key))
+            if k < len(reader) and reader.ends[k, 0] <= key:
+                by_frame.setdefault(k, []).append(key)
+        for k, keys in by_frame.items():
+            held, ids = reader.frame(k)
+            for key in keys:
+                at = int(np.searchsorted(held, key))
+                if at < len(held) and held[at] == key:
                     found[key] = ids[at]
     return found
 
