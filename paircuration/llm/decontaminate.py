@@ -5,6 +5,11 @@ five-word shingles, ordered by rarity in the corpus; because containment must be
 shingle, the rarest.  Documents join on prefix shingles only; the shingle's offset fixes where the window would have to
 start, which must lie inside the document; the words there are then compared one by one.
 
+Windows and shingles are made in the executors, and one pass over the corpus counts all shingles behind a bit map of
+fixed size.  The windows are dealt into blocks of bounded number and bytes, by their hash.  The usual benchmark is one
+block, and judging is one narrow pass.  Of several, only one is alive at a time: each takes a pass that puts out the hits
+of the documents that have any, and the hits are merged at the end.
+
 Defined results: null and word-less texts have no words, no hits and are clean; an item without words never occurs;
 repeated items and rows are handled row by row; item ids are compared as strings; empty tables give empty results or
 clean documents; extra columns are ignored.
@@ -12,7 +17,6 @@ clean documents; extra columns are ignored.
 
 from __future__ import annotations
 
-import hashlib
 import re
 from collections.abc import Iterator
 
@@ -22,8 +26,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from paircuration.llm.common import settle
+
 WINDOW, SHINGLE = 13, 5
-BLOCK_WINDOWS = 500_000  # windows a broadcast block may hold; a larger benchmark is worked through block by block
+BLOCK_WINDOWS, BLOCK_BYTES = 500_000, 64 << 20  # windows, and bytes of their words, that a broadcast block holds at most, about
+_BITS = 22  # of the bit map of shingles
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 _BASE, _STEP = 0x9E3779B97F4A7C15 | 1, 0xC2B2AE3D27D4EB4F | 1
 _MASK = (1 << 64) - 1
@@ -88,53 +95,55 @@ class Words:
         return _mix(out + np.uint64(k)), self.owner[:n] == self.owner[k - 1 : k - 1 + n]
 
 
+def _window_batches(batches):
+    """(item, body, hashes, shingles) of every distinct window of each item."""
+    for batch in batches:
+        for at, _, words in _pieces(batch, 1, 0):
+            n = len(words.hash)
+            seen, rows = set(), []
+            for i in range(max(1, n - WINDOW + 1) if n else 0):
+                size = min(n, WINDOW)
+                body = words.text(i, size)
+                if body not in seen:
+                    seen.add(body)
+                    h = words.hash[i : i + size]
+                    rows.append((body, h.tobytes(), _shingles_of(h).view(np.int64)))
+            if rows:
+                yield pa.record_batch([pa.array([batch.column(0)[at].as_py() or ""] * len(rows)), pa.array([r[0] for r in rows], pa.binary()),
+                                       pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.list_(pa.int64()))], names=["item", "body", "hashes", "shingles"])
+
+
+def _shingles_of(h: np.ndarray) -> np.ndarray:
+    """Hashes of a window's shingles, in order; a shorter window is one shingle."""
+    k = min(SHINGLE, len(h))
+    acc = np.zeros(len(h) - k + 1, dtype=np.uint64)
+    for j in range(k):
+        acc = acc * np.uint64(_STEP) + h[j : j + len(acc)]
+    return _mix(acc + np.uint64(k))
+
+
 class Block:
     """A bounded set of benchmark windows with their prefix shingles."""
 
-    def __init__(self):
-        self.items: list[str] = []
-        self.windows: list[tuple[int, bytes]] = []  # item, words joined by blanks
-        self.hashes: list[np.ndarray] = []  # word hashes of each window
-
-    def add(self, item: str, text: str | None) -> None:
-        data = np.frombuffer((text or "").encode(), dtype=np.uint8)
-        words = Words(data, np.array([0, len(data)]))
-        n = len(words.hash)
-        if n:
-            self.items.append(item)
-            for i in range(max(1, n - WINDOW + 1)):
-                size = min(n, WINDOW)
-                self.windows.append((len(self.items) - 1, words.text(i, size)))
-                self.hashes.append(words.hash[i : i + size])
-
-    def shingle_table(self) -> list[tuple[int, np.ndarray]]:
-        """For each window its shingle width and the hashes of its shingles, in order."""
-        out = []
-        for h in self.hashes:
-            k = min(SHINGLE, len(h))
-            acc = np.zeros(len(h) - k + 1, dtype=np.uint64)
-            for j in range(k):
-                acc = acc * np.uint64(_STEP) + h[j : j + len(acc)]
-            out.append((k, _mix(acc + np.uint64(k))))
-        return out
-
-    def choose_prefixes(self, frequency: dict[int, int]) -> None:
-        """The rarest shingle of each window; ties by hash, so every run chooses alike."""
-        table = self.shingle_table()
-        pick = [min(range(len(s)), key=lambda i, s=s: (frequency.get(int(s[i]), 0), int(s[i]), i)) for _, s in table]
-        self.width = np.array([k for k, _ in table], dtype=np.int64)
-        self.offset = np.array(pick, dtype=np.int64)
-        self.prefix = np.array([s[i] for (_, s), i in zip(table, pick)], dtype=np.uint64)
-        self.length = np.array([len(h) for h in self.hashes], dtype=np.int64)
-        self.matrix = np.zeros((len(self.hashes), WINDOW), dtype=np.uint64)
-        for i, h in enumerate(self.hashes):
+    def __init__(self, rows: list):
+        """`rows` have item, body, hashes, and the prefix: its shingle and its offset in the window."""
+        names = sorted({r["item"] for r in rows})
+        number = {name: i for i, name in enumerate(names)}
+        self.items = names
+        self.windows = [(number[r["item"]], bytes(r["body"])) for r in rows]
+        hashes = [np.frombuffer(r["hashes"], np.uint64) for r in rows]
+        self.length = np.array([len(h) for h in hashes], dtype=np.int64)
+        self.width = np.minimum(self.length, SHINGLE)
+        self.offset = np.array([r["offset"] for r in rows], dtype=np.int64)
+        self.prefix = np.array([r["prefix"] for r in rows], dtype=np.int64).view(np.uint64)
+        self.matrix = np.zeros((len(rows), WINDOW), dtype=np.uint64)
+        for i, h in enumerate(hashes):
             self.matrix[i, : len(h)] = h
         order = np.lexsort((self.prefix, self.width))
         self.lookup = {}
         for k in np.unique(self.width):
             own = order[self.width[order] == k]
             self.lookup[int(k)] = (self.prefix[own], own)
-        del self.hashes
 
     def occurrences(self, words: Words) -> tuple[np.ndarray, np.ndarray]:
         """(word position, window) of every occurrence."""
@@ -169,129 +178,153 @@ class Block:
 
 
 def _maybe(hashes: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """A 2^22-bit membership pre-test without false negatives."""
-    bits = np.zeros(1 << 22, dtype=bool)
-    bits[(table >> np.uint64(42)).astype(np.int64)] = True
-    return bits[(hashes >> np.uint64(42)).astype(np.int64)]
+    """A membership pre-test without false negatives."""
+    bits = np.zeros(1 << _BITS, dtype=bool)
+    bits[(table >> np.uint64(64 - _BITS)).astype(np.int64)] = True
+    return bits[(hashes >> np.uint64(64 - _BITS)).astype(np.int64)]
 
 
-def _pieces(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, Words]]:
-    """Rows of a batch in pieces of about a megabyte, one long text alone if need be."""
+def _pieces(batch: pa.RecordBatch, column: int, chunk: int = _CHUNK) -> Iterator[tuple[int, int, Words]]:
+    """Rows of a batch in pieces of about a megabyte, one long text alone if need be; with no chunk, row by row."""
     texts = pc.fill_null(batch.column(column), "").cast(pa.large_string())
     offsets = np.frombuffer(texts.buffers()[1], dtype=np.int64)[texts.offset : texts.offset + len(texts) + 1]
     data = np.frombuffer(texts.buffers()[2], dtype=np.uint8) if texts.buffers()[2] is not None and texts.buffers()[2].size else np.zeros(0, np.uint8)
     at = 0
     while at < len(texts):
-        to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + _CHUNK, side="right")) - 1)
+        to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + chunk, side="right")) - 1) if chunk else at + 1
         to = min(to, len(texts))
         yield at, to, Words(data[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at])
         at = to
 
 
-def _blocks(benchmark: DataFrame, item_col: str, text_col: str) -> Iterator[Block]:
-    """Benchmark items streamed to the driver one partition at a time, cut into blocks of bounded size."""
-    block = Block()
-    for item, text in benchmark.select(F.col(item_col).cast("string"), F.col(text_col).cast("string")).toLocalIterator():
-        block.add(item or "", text)
-        if len(block.windows) >= BLOCK_WINDOWS:
-            yield block
-            block = Block()
-    if block.windows:
-        yield block
-
+def _frequencies(docs: DataFrame, text_col: str, shingles: DataFrame) -> DataFrame:
+    """(shingle, n) of the (shingle, width) that occur in the corpus: one pass, whatever the number of windows.
 
-def _frequencies(spark: SparkSession, docs: DataFrame, text_col: str, block: Block) -> dict[int, int]:
-    """How often each of the block's shingles occurs in the whole corpus."""
-    wanted: dict[int, np.ndarray] = {}
-    for k, s in block.shingle_table():
-        wanted.setdefault(k, []).append(s)
-    sent = spark.sparkContext.broadcast({k: np.unique(np.concatenate(v)) for k, v in wanted.items()})
+    A bit map of fixed size keeps most of the corpus from travelling; the join drops what it lets through by chance.
+    """
+    cells = shingles.select("width", F.shiftrightunsigned("shingle", 64 - _BITS).cast("int").alias("cell")).distinct().collect()  # at most SHINGLE * 2^_BITS
+    maps: dict[int, np.ndarray] = {}
+    for k, cell in cells:
+        maps.setdefault(k, np.zeros(1 << _BITS, dtype=bool))[cell] = True
+    sent = docs.sparkSession.sparkContext.broadcast({k: np.packbits(m) for k, m in maps.items()})
 
     def count(batches):
-        sums = {k: np.zeros(len(v), dtype=np.int64) for k, v in sent.value.items()}
+        bits = {k: np.unpackbits(m).astype(bool) for k, m in sent.value.items()}
         for batch in batches:
             for _, _, words in _pieces(batch, 0):
-                for k, table in sent.value.items():
+                for k, own in bits.items():
                     hashes, whole = words.shingles(k)
-                    hashes = hashes[_maybe(hashes, table) & whole]
-                    at = np.minimum(np.searchsorted(table, hashes), len(table) - 1)
-                    sums[k] += np.bincount(at[table[at] == hashes], minlength=len(table))
-        for k, n in sums.items():
-            some = np.flatnonzero(n)
-            yield pa.record_batch([pa.array(sent.value[k][some].view(np.int64)), pa.array(n[some])], names=["shingle", "n"])
+                    found, n = np.unique(hashes[own[(hashes >> np.uint64(64 - _BITS)).astype(np.int64)] & whole], return_counts=True)
+                    if len(found):
+                        yield pa.record_batch([pa.array(found.view(np.int64)), pa.array(n.astype(np.int64))], names=["shingle", "n"])
 
     seen = docs.select(F.col(text_col).cast("string").alias("body")).mapInArrow(count, "shingle bigint, n bigint")
-    totals = seen.groupBy("shingle").agg(F.sum("n").alias("n")).toPandas()  # no more rows than the block has shingles
-    return dict(zip((totals["shingle"].to_numpy(np.int64).view(np.uint64)).tolist(), totals["n"].tolist()))
+    return seen.groupBy("shingle").agg(F.sum("n").alias("n")).join(shingles.select("shingle").distinct().hint("merge"), "shingle")
 
 
-def _prepared(docs: DataFrame, benchmark: DataFrame, text_col: str, item_col: str, item_text_col: str) -> list:
-    spark, sent = docs.sparkSession, []
-    for block in _blocks(benchmark, item_col, item_text_col):
-        block.choose_prefixes(_frequencies(spark, docs, text_col, block))
-        sent.append(spark.sparkContext.broadcast(block))
-    return sent
+def _prepared(docs: DataFrame, benchmark: DataFrame, text_col: str, item_col: str, item_text_col: str) -> tuple[DataFrame, int]:
+    """Windows with their prefixes (the rarest shingle; ties by hash, so every run chooses alike) and blocks, and how many blocks."""
+    source = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).cast("string").alias("body"))
+    windows = source.mapInArrow(_window_batches, "item string, body binary, hashes binary, shingles array<bigint>").dropDuplicates(["item", "body"])
+    windows = settle(windows, "windows")
+    total, size = windows.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.length("body")), F.lit(0))).first()
+    width = F.least(F.lit(SHINGLE), (F.length("hashes") / 8).cast("int"))
+    each = windows.select("item", "body", width.alias("width"), F.posexplode("shingles").alias("offset", "shingle"))
+    counted = settle(_frequencies(docs, text_col, each.select("shingle", "width").distinct()), "frequencies")
+    best = each.join(counted.hint("merge"), "shingle", "left").groupBy("item", "body").agg(
+        F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "shingle", "offset")).alias("best"))
+    blocks = max(1, -(-total // BLOCK_WINDOWS), -(-size // BLOCK_BYTES))
+    ready = windows.join(best.hint("merge"), ["item", "body"]).select("item", "body", "hashes", F.col("best.shingle").alias("prefix"), F.col("best.offset").alias("offset"),
+                                                        F.pmod(F.xxhash64("item", "body"), F.lit(blocks)).cast("int").alias("block"))
+    return settle(ready, "prefixes"), blocks
 
 
-def _judge(words: Words, blocks: list, rows: int) -> tuple[np.ndarray, np.ndarray, list[set]]:
-    """Words, hit words and items of each of the texts."""
-    edge = np.zeros(len(words.hash) + 1, dtype=np.int64)
-    items: list[set] = [set() for _ in range(rows)]
-    for sent in blocks:
-        block = sent.value
-        start, window = block.occurrences(words)
-        np.add.at(edge, start, 1)
-        np.add.at(edge, start + block.length[window], -1)
-        for owner, w in zip(words.owner[start].tolist(), window.tolist()):
-            items[owner].add(block.items[block.windows[w][0]])
-    hit = np.bincount(words.owner[np.cumsum(edge[:-1]) > 0], minlength=rows)
-    return words.count, hit, items
+def _sent(ready: DataFrame, block: int):
+    rows = ready.filter(F.col("block") == block).collect()  # bounded by the number of blocks
+    return ready.sparkSession.sparkContext.broadcast(Block(rows)) if rows else None
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text",
-                  item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
-    """One row per document: n_words, n_hit, n_items, items (sorted ids), contaminated. Narrow: no text is shuffled."""
-    blocks = _prepared(docs, benchmark, text_col, item_col, item_text_col)
+def _spans(words: Words, block: Block, rows: int) -> tuple[list[list[tuple[int, int]]], list[set]]:
+    """Hit runs of word positions (merged, end exclusive) and items of each of the texts."""
+    items: list[set] = [set() for _ in range(rows)]
+    edge = np.zeros(len(words.hash) + 1, dtype=np.int64)
+    start, window = block.occurrences(words)
+    np.add.at(edge, start, 1)
+    np.add.at(edge, start + block.length[window], -1)
+    for owner, w in zip(words.owner[start].tolist(), window.tolist()):
+        items[owner].add(block.items[block.windows[w][0]])
+    inside = np.concatenate([[False], np.cumsum(edge[:-1]) > 0, [False]])
+    first = np.zeros(len(words.hash) + 1, dtype=bool)
+    first[words.first] = True  # a run ends with its text
+    begin = np.flatnonzero(inside[1:-1] & (~inside[:-2] | first[:-1]))
+    end = np.flatnonzero(inside[1:-1] & (~inside[2:] | first[1:])) + 1
+    spans: list[list[tuple[int, int]]] = [[] for _ in range(rows)]
+    owners = words.owner[begin]
+    for owner, x, y in zip(owners.tolist(), (begin - words.first[owners]).tolist(), (end - words.first[owners]).tolist()):
+        spans[owner].append((x, y))
+    return spans, items
+
+
+def _judged(docs: DataFrame, sent, every: bool, id_col: str, text_col: str) -> DataFrame:
+    """(row_key, digest, n_words, spans, items) of every document, or only of those with hits. Narrow."""
     kind = docs.schema[id_col].dataType.simpleString()
+    span = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
     def judge(batches):
         for batch in batches:
-            for at, to, words in _pieces(batch, 1):
-                n, hit, items = _judge(words, blocks, to - at)
-                yield pa.record_batch(
-                    [batch.column(0).slice(at, to - at), pa.array(n.astype(np.int64)), pa.array(hit.astype(np.int64)),
-                     pa.array([sorted(x) for x in items], pa.list_(pa.string()))],
-                    names=["row_key", "n_words", "n_hit", "items"])
-
-    found = docs.select(F.col(id_col).alias("row_key"), F.col(text_col).cast("string").alias("body")).mapInArrow(
-        judge, f"row_key {kind}, n_words bigint, n_hit bigint, items array<string>")
-    return found.select(
-        F.col("row_key").alias(id_col), "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), "items",
-        ((F.col("n_hit") > 0) & (F.col("n_hit") * 20 >= F.col("n_words"))).alias("contaminated"))
+            for at, to, words in _pieces(batch, 2):
+                spans, items = _spans(words, sent.value, to - at) if sent is not None else ([[]] * (to - at), [()] * (to - at))
+                out = pa.record_batch(
+                    [batch.column(0).slice(at, to - at), batch.column(1).slice(at, to - at), pa.array(words.count.astype(np.int64)),
+                     pa.array([[{"start": a, "end": b} for a, b in x] for x in spans], span), pa.array([sorted(x) for x in items], pa.list_(pa.string()))],
+                    names=["row_key", "digest", "n_words", "spans", "items"])
+                yield out if every else out.filter(pa.array([bool(x) for x in items], pa.bool_()))
 
+    body = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).alias("row_key"), F.unhex(F.md5(F.coalesce(body, F.lit("")).cast("binary"))).alias("digest"), body.alias("body"))
+    return rows.mapInArrow(judge, f"row_key {kind}, digest binary, n_words bigint, spans array<struct<start:bigint,end:bigint>>, items array<string>")
 
-def remove_contaminated(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id",
-                        item_text_col: str = "text") -> DataFrame:
-    """The documents that are not contaminated, with all their columns."""
-    blocks = _prepared(docs, benchmark, text_col, item_col, item_text_col)
-    column = docs.columns.index(text_col)
 
-    def keep(batches):
-        for batch in batches:
-            for at, to, words in _pieces(batch, column):
-                n, hit, _ = _judge(words, blocks, to - at)
-                yield batch.slice(at, to - at).filter(pa.array(~((hit > 0) & (20 * hit >= n))))
+def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text",
+                  item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
+    """One row per document: n_words, n_hit, n_items, items (sorted ids), contaminated. No text is shuffled."""
+    ready, blocks = _prepared(docs, benchmark, text_col, item_col, item_text_col)
+    found = _judged(docs, _sent(ready, blocks - 1), True, id_col, text_col)
+    if blocks > 1:
+        earlier = None
+        for block in range(blocks - 1):
+            sent = _sent(ready, block)
+            hits = settle(_judged(docs, sent, False, id_col, text_col), "hits")
+            earlier = hits if earlier is None else earlier.union(hits)
+            if sent is not None:
+                sent.destroy()
+        merged = earlier.groupBy(F.col("row_key").alias("_key"), F.col("digest").alias("_digest")).agg(
+            F.flatten(F.collect_set("spans")).alias("more_spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("more_items"))
+        found = found.join(merged, F.col("row_key").eqNullSafe(F.col("_key")) & (F.col("digest") == F.col("_digest")), "left")
+        found = found.withColumn("spans", F.array_sort(F.concat("spans", F.coalesce("more_spans", F.expr("cast(array() as array<struct<start:bigint,end:bigint>>)")))))
+        found = found.withColumn("items", F.array_sort(F.array_union("items", F.coalesce("more_items", F.expr("cast(array() as array<string>)")))))
+    start = F.struct(F.lit(0).cast("bigint").alias("upto"), F.lit(0).cast("bigint").alias("n"))
+    hit = F.aggregate("spans", start, lambda s, x: F.struct(F.greatest(s["upto"], x["end"]).alias("upto"), (s["n"] + F.greatest(F.lit(0).cast("bigint"), x["end"] - F.greatest(s["upto"], x["start"]))).alias("n")), lambda s: s["n"])
+    return found.withColumn("n_hit", hit).select(
+        F.col("row_key").alias(id_col), "digest", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), "items",
+        ((F.col("n_hit") > 0) & (F.col("n_hit") * 20 >= F.col("n_words"))).alias("contaminated"))
 
-    return docs.mapInArrow(keep, docs.schema)
 
+def remove_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id",
+                        item_text_col: str = "text") -> DataFrame:
+    """The documents that are not contaminated, with all their columns.
 
-def items_digest(items) -> str:
-    return hashlib.sha256(",".join(items).encode()).hexdigest()
+    Contaminated rows are known by id and text together; they are settled first and, being few, usually broadcast.
+    """
+    bad = contamination(docs, benchmark, id_col, text_col, item_col, item_text_col).filter("contaminated")
+    bad = settle(bad.select(F.col(id_col).alias("_bad_key"), F.col("digest").alias("_bad_digest")).distinct(), "contaminated")
+    digest = F.unhex(F.md5(F.coalesce(docs[text_col].cast("string"), F.lit("")).cast("binary")))
+    return docs.join(bad, docs[id_col].eqNullSafe(bad["_bad_key"]) & (digest == bad["_bad_digest"]), "left_anti")
 
 
 def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = contamination(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    return found.withColumn("items_sha256", F.sha2(F.concat_ws(",", "items"), 256)).drop("items")
+    return found.withColumn("items_sha256", F.sha2(F.concat_ws(",", "items"), 256)).drop("items", "digest")
 
 
 OP7_SQL = r"""

@@ -184,13 +184,17 @@ def keep_rows(df: DataFrame, best: DataFrame, tree: DataFrame, key: str, id_col:
     """
     rooted = best.join(tree, key, "left").groupBy(F.coalesce("root", key).alias("root")).agg(F.min("best").alias("best"))
     stay = settle(rooted.select(F.col("best.row_key").alias("_id"), F.col("best.digest").alias("_stay"), F.col("best.n").alias("_n")), "survivors")
-    rows = df.withColumn("_digest", text_digest(text_col))
-    on = F.col(id_col).eqNullSafe(F.col("_id")) & (F.col("_digest") == F.col("_stay"))
+    digest = F.unhex(F.md5(F.coalesce(df[text_col].cast("string"), F.lit("")).cast("binary")))
+
+    def staying(kept: DataFrame) -> DataFrame:
+        kept = kept.hint("shuffle_hash")
+        return df.join(kept, df[id_col].eqNullSafe(kept["_id"]) & (digest == kept["_stay"]), "left_semi")
+
     if not stay.filter("_n > 1").limit(1).count():
-        return rows.join(stay.hint("shuffle_hash"), on, "left_semi").select(*df.columns)
-    once = rows.join(stay.filter("_n = 1").hint("shuffle_hash"), on, "left_semi")
-    many = rows.join(stay.filter("_n > 1").hint("shuffle_hash"), on, "left_semi").dropDuplicates([id_col, "_digest"])
-    return once.select(*df.columns).union(many.select(*df.columns))
+        return staying(stay)
+    mark = "digest of " + " ".join(df.columns)  # a name that no column has
+    many = staying(stay.filter("_n > 1")).withColumn(mark, text_digest(text_col)).dropDuplicates([id_col, mark])
+    return staying(stay.filter("_n = 1")).union(many.select(*df.columns))
 
 
 def keep_first(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
