@@ -164,8 +164,13 @@ def test_decontamination_rule(spark, awkward, empty):
 
 def test_decontamination_blocks(spark, sf, monkeypatch):
     whole = sorted(tuple(r) for r in QUERIES["op7_benchmark_decontamination"](spark, sf).collect())
+    docs, bench = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/benchmark.parquet")
+    kept = sorted(r["doc_id"] for r in decontaminate.remove_contaminated(docs, bench).collect())
     monkeypatch.setattr(decontaminate, "BLOCK_WINDOWS", 300)
     assert sorted(tuple(r) for r in QUERIES["op7_benchmark_decontamination"](spark, sf).collect()) == whole
+    assert sorted(r["doc_id"] for r in decontaminate.remove_contaminated(docs, bench).collect()) == kept
+    clashing = docs.withColumn("_bad_key", F.lit(1)).withColumn("digest", F.lit("x"))
+    assert decontaminate.remove_contaminated(clashing, bench).columns == clashing.columns
 
 
 # ---- simhash --------------------------------------------------------------------------------------------------------
@@ -236,6 +241,11 @@ def test_keep_first_tells_rows_without_or_with_equal_ids_apart(spark):
     assert len(kept) == 4 and {(r["doc_id"], r["text"].lower()) for r in kept} == {(None, texts[0]), (None, texts[1]), (5, texts[2]), (4, texts[3])}
 
 
+def test_keep_first_with_clashing_column_names(spark):
+    df = spark.createDataFrame([(1, "a b c d", 5, "s"), (2, "a b c d", 6, "t"), (3, "x y z w", 7, "u")], "doc_id bigint, text string, survivor int, _digest string")
+    assert sorted(tuple(r) for r in simhash.keep_first(df).collect()) == [(1, "a b c d", 5, "s"), (3, "x y z w", 7, "u")]
+
+
 # ---- token output ---------------------------------------------------------------------------------------------------
 
 def test_op8_round_trip(spark, sf, docs):
