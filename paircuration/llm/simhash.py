@@ -123,13 +123,13 @@ def links(marks: DataFrame) -> DataFrame:
 def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     """(node, root): the smallest node reachable, by alternating large-star and small-star rounds.
 
-    `edges` has columns a and b of one type.  Each node's least neighbour is a map-side minimum that is joined back, so
-    the many edges of one star centre are never gathered: the adaptive skew join may split them.  Every round is settled
-    in the shared folder; the number of rounds grows with the logarithm of the graph's size.
+    `edges` has columns a and b of one type.  Each node's least neighbour is a map-side minimum that is settled and joined
+    back, both sides straight from files, so the adaptive skew join can split the many edges of one star centre.  Every
+    round is settled in the shared folder; the number of rounds grows with the logarithm of the graph's size.
     """
     def hooked(df):
-        least = df.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        return df.join(least.hint("merge"), "u")
+        least = settle(df.groupBy("u").agg(F.min("v").alias("least")), "minima")
+        return df.join(least.hint("merge"), "u").withColumn("m", F.least("least", "u"))
 
     now = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct()
     now, before = settle(now, "edges"), None
@@ -139,7 +139,7 @@ def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
             break
         before = state
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = hooked(both).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = settle(hooked(both).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "stars")
         small = hooked(large)
         nexts = small.select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(small.select("u", F.col("m").alias("v"))).distinct()
         now = settle(nexts, "edges")
