@@ -37,13 +37,25 @@ def digest(text: Column, family: str = "md5") -> Column:
 
 
 def exact(df: DataFrame, text: Column, order: list[str], family: str = "md5") -> DataFrame:
-    """First row of each normalised text in the given total order.
+    """First row of each normalised text in the given order; exactly one row of each text stays.
 
-    Only (digest, order) moves: first rows come from a combined aggregate and return by a semi join on the order key.
+    Only (digest, order) is aggregated: first rows come from a combined aggregate and return by a semi join.  A null text
+    is a text of its own; rows whose order is null come last; of repeated rows, equal in digest and order, one stays.
     """
-    keyed = df.withColumn("_digest", digest(text, family))
-    first = keyed.groupBy("_digest").agg(F.min(F.struct(*order)).alias("_first")).select(*[F.col(f"_first.{c}").alias(c) for c in order])
-    return df.join(first, order, "left_semi")
+    mark = "digest of " + " ".join(df.columns)  # a name that no column has
+    keyed = df.withColumn(mark, F.coalesce(digest(text, family).cast("string"), F.lit("null")))
+    per = keyed.groupBy(F.col(f"`{mark}`").alias("_digest"), *[F.col(c).alias(f"_{i}") for i, c in enumerate(order)]).agg(F.count(F.lit(1)).alias("_n"))
+    place = [x for i in range(len(order)) for x in (F.col(f"_{i}").isNull().alias(f"none{i}"), F.col(f"_{i}").alias(f"at{i}"))]
+    first = per.groupBy("_digest").agg(F.min(F.struct(*place, F.col("_n").alias("n"))).alias("_first"))
+
+    def kept(chosen: DataFrame) -> DataFrame:
+        same = keyed[mark] == chosen["_digest"]
+        for i, c in enumerate(order):
+            same = same & keyed[c].eqNullSafe(chosen[f"_first.at{i}"])
+        return keyed.join(chosen, same, "left_semi")
+
+    once, many = kept(first.filter("_first.n = 1")), kept(first.filter("_first.n > 1"))  # the rows' exchange is shared
+    return once.union(many.dropDuplicates([mark, *order])).drop(mark)
 
 
 def exact_confirmed(df: DataFrame, text: Column, order: list[str]) -> DataFrame:

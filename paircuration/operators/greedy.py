@@ -8,19 +8,19 @@ settled in the shared folder between rounds; rows without edges never enter.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from paircuration.sources.scratch import settle
 
 
-def resolve(edges: DataFrame, max_rounds: int = 1000) -> DataFrame:
+def resolve(edges: DataFrame) -> DataFrame:
     """(id, kept) of every row that has an edge; edges are (lo, hi) with lo earlier in the order."""
     edges = settle(edges.select("lo", "hi").distinct())
     nodes = edges.select(F.col("lo").alias("id")).union(edges.select("hi")).distinct()
     open_edges, open_nodes = edges, settle(nodes)
     done = None
-    for _ in range(max_rounds):
+    while open_nodes.limit(1).count():
         blocked = open_edges.select(F.col("hi").alias("id")).distinct()
         kept = settle(open_nodes.join(blocked, "id", "left_anti"))
         dropped = settle(open_edges.join(kept.withColumnRenamed("id", "lo"), "lo", "left_semi").select(F.col("hi").alias("id")).distinct())
@@ -29,47 +29,52 @@ def resolve(edges: DataFrame, max_rounds: int = 1000) -> DataFrame:
         open_nodes = settle(open_nodes.join(settled.select("id"), "id", "left_anti"))
         gone = settled.select("id")
         open_edges = settle(open_edges.join(gone.withColumnRenamed("id", "lo"), "lo", "left_anti").join(gone.withColumnRenamed("id", "hi"), "hi", "left_anti"))
-        if not open_nodes.limit(1).count():
-            return done
-    raise RuntimeError("the ordered pass did not finish")
+    return done if done is not None else nodes.withColumn("kept", F.lit(True))
 
 
-def resolve_buckets(idx: DataFrame, id_col: str, max_rounds: int = 1000) -> DataFrame:
-    """Pair-free pass when sharing a bucket alone decides: (id, kept).
+def resolve_buckets(idx: DataFrame, id_col: str) -> DataFrame:
+    """Pair-free pass when sharing a bucket alone decides: (id, kept) of every row that shares a bucket.
 
-    Each round keeps rows that are the smallest open member of all their buckets and drops everyone who shares a bucket
-    with them: linear in index rows, so hot buckets are harmless.
+    Buckets of one row never enter.  Each round keeps rows that are the smallest open member of all their buckets and
+    drops everyone who shares a bucket with them: linear in index rows, and a bucket is only ever aggregated map-side and
+    joined back, so hot buckets are harmless.  One status table and the remaining index are settled a round.
     """
-    state = settle(idx.select("band", "key", F.col(id_col).alias("id")))
-    done = None
-    for _ in range(max_rounds):
-        least = state.withColumn("first", F.min("id").over(Window.partitionBy("band", "key")))
-        kept = settle(least.groupBy("id").agg(F.min((F.col("first") == F.col("id")).cast("int")).alias("all_first")).filter("all_first = 1").select("id"))
-        taken = state.join(kept, "id", "left_semi").select("band", "key").distinct()
-        dropped = settle(state.join(taken, ["band", "key"], "left_semi").select("id").distinct().join(kept, "id", "left_anti"))
-        settled = kept.withColumn("kept", F.lit(True)).union(dropped.withColumn("kept", F.lit(False)))
-        done = settled if done is None else done.union(settled)
-        state = settle(state.join(settled.select("id"), "id", "left_anti"))
-        if not state.limit(1).count():
-            return done
-    raise RuntimeError("the ordered pass did not finish")
+    bucket = ["band", "key"]
+    rows = idx.select(*bucket, F.col(id_col).alias("id"))
+    shared = rows.groupBy(*bucket).agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select(*bucket)
+    state, done = settle(rows.join(shared, bucket, "left_semi")), None
+    while state.limit(1).count():
+        least = state.groupBy(*bucket).agg(F.min("id").alias("first"))
+        kept = state.join(least, bucket).groupBy("id").agg(F.min((F.col("first") == F.col("id")).cast("int")).alias("kept"))
+        known = state.join(kept, "id")
+        taken = known.groupBy(*bucket).agg(F.max("kept").alias("taken"))
+        status = known.join(taken, bucket).groupBy("id").agg(F.max("kept").alias("kept"), F.max("taken").alias("taken")).filter("taken = 1")
+        status = settle(status.select("id", (F.col("kept") == 1).alias("kept")))
+        done = status if done is None else done.union(status)
+        state = settle(state.join(status.select("id"), "id", "left_anti"))
+    return done if done is not None else state.select("id", F.lit(True).alias("kept"))
 
 
-def components_keep_first(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
+def components_keep_first(edges: DataFrame) -> DataFrame:
     """(id, kept, root): the ablation that keeps only the first row of each connected component.
 
-    Alternating large-star and small-star rounds over the edges.
+    Alternating large-star and small-star rounds over the edges.  Least neighbours are map-side minima that are settled
+    and joined back, so the adaptive skew join can split the edges of a star centre.
     """
+    def hooked(df):
+        least = settle(df.groupBy("u").agg(F.min("v").alias("least")))
+        return df.join(least.hint("merge"), "u").withColumn("m", F.least("least", "u"))
+
     now = settle(edges.select(F.greatest("lo", "hi").alias("u"), F.least("lo", "hi").alias("v")).distinct())
     before = None
-    for _ in range(max_rounds):
-        state = now.agg(F.count(F.lit(1)), F.coalesce(F.bit_xor(F.xxhash64("u", "v")), F.lit(0))).first()
+    while True:
+        state = now.agg(F.count(F.lit(1)), F.coalesce(F.bit_xor(F.xxhash64("u", "v")), F.lit(0)), F.coalesce(F.bit_xor(F.xxhash64("v", "u")), F.lit(0))).first()
         if state == before or state[0] == 0:
             break
         before = state
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = both.withColumn("m", F.least(F.min("v").over(Window.partitionBy("u")), "u")).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        small = large.withColumn("m", F.least(F.min("v").over(Window.partitionBy("u")), "u"))
+        large = settle(hooked(both).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct())
+        small = hooked(large)
         now = settle(small.select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").union(small.select("u", F.col("m").alias("v"))).distinct())
     leaves = now.select(F.col("u").alias("id"), F.lit(False).alias("kept"), F.col("v").alias("root"))
     return leaves.union(now.select(F.col("v").alias("id"), F.lit(True), F.col("v")).distinct())

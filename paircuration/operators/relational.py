@@ -51,18 +51,29 @@ def top_k(df: DataFrame, by: list[str], order: list[Column], k: int) -> DataFram
     return df.withColumn("_rn", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).filter(F.col("_rn") <= k).drop("_rn")
 
 
-def global_rank(df: DataFrame, order: list[Column], name: str) -> DataFrame:
-    """Gapless rank over the whole table without a single-task window: range partitions, their counts, local ranks.
+def global_run(df: DataFrame, order: list[Column], sums: dict[str, Column]) -> DataFrame:
+    """Running sums over the whole table, the row itself included, without a single-task window.
 
-    Settled between the two passes, so that both see the same ranges.
+    Range partitions are settled, their totals give each its offset, and windows run inside them.  Rows must be told
+    apart by the order, or equal rows share an arbitrary order among themselves.
     """
     from paircuration.sources.scratch import settle
 
-    parts = settle(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), "ranges")
-    counts = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"))
-    before = counts.withColumn("_before", F.coalesce(F.sum("_n").over(Window.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("_n")
-    local = F.row_number().over(Window.partitionBy("_part").orderBy(*order)) - 1
-    return parts.withColumn("_local", local).join(before, "_part").withColumn(name, F.col("_before") + F.col("_local")).drop("_part", "_local", "_before")
+    parts = df
+    for name, value in sums.items():
+        parts = parts.withColumn(f"_{name}", value)
+    parts = settle(parts.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), "ranges")
+    totals = parts.groupBy("_part").agg(*[F.sum(f"_{n}").alias(f"_t{n}") for n in sums])
+    earlier = Window.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # one row per partition
+    before = totals.select("_part", *[F.coalesce(F.sum(f"_t{n}").over(earlier), F.lit(0)).alias(f"_b{n}") for n in sums])
+    local = Window.partitionBy("_part").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
+    run = parts.join(F.broadcast(before), "_part")  # as many rows as there are partitions
+    return run.select(*df.columns, *[(F.col(f"_b{n}") + F.sum(f"_{n}").over(local)).alias(n) for n in sums])
+
+
+def global_rank(df: DataFrame, order: list[Column], name: str) -> DataFrame:
+    """Gapless rank from 0 over the whole table."""
+    return global_run(df, order, {name: F.lit(1)}).withColumn(name, F.col(name) - 1)
 
 
 def hash_sample(df: DataFrame, key: str, seed: str, one_in: int) -> DataFrame:

@@ -553,7 +553,7 @@ def _replies(spark, sf):
 
 
 def _bleu_parts(max_n=4) -> P.Parts:
-    tok = "list_filter(string_split_regex(lower({0}), '[ \\n\\t]+'), lambda t: t <> '')[1:2048]"
+    tok = "list_filter(string_split_regex(lower({0}), '[ \\n\\t]+'), lambda t: t <> '')"
     grams = " UNION ALL ".join(
         f"SELECT pair, {n} AS n, array_to_string({{0}}[i : i + {n - 1}], ' ') AS gram FROM (SELECT pair, {{0}}, unnest(range(1, len({{0}}) - {n} + 2)) AS i FROM tok)" for n in range(1, max_n + 1))
     return [
@@ -583,28 +583,22 @@ def bleu_corpus(spark, sf):
     return metrics.bleu_corpus(_replies(spark, sf), "pair").select(F.round("bleu", 9).alias("bleu"))
 
 
-def _lcs_sql(limit: int, columns: str) -> str:
+def _lcs_sql(columns: str) -> str:
     """One table row per candidate token: cells that match grow from the diagonal, then a running maximum."""
     cells = "list_transform(range(1, len(ref) + 1), lambda k: CASE WHEN cand[i + 1] <> ref[k] THEN line[k] WHEN k = 1 THEN 1 ELSE line[k - 1] + 1 END)"
     return P.statement([
-        *_bleu_parts()[:1], ("cut", f"SELECT pair, cand[1:{limit}] AS cand, ref[1:{limit}] AS ref FROM tok"),
-        ("folded", f"SELECT pair, cand, ref, 0 AS i, list_transform(ref, lambda t: 0) AS line FROM cut UNION ALL SELECT pair, cand, ref, i + 1, list_transform(range(1, len(ref) + 1), lambda k: list_max(cells[1:k])) FROM (SELECT *, {cells} AS cells FROM folded WHERE i < len(cand))"),
+        *_bleu_parts()[:1],
+        ("folded", f"SELECT pair, cand, ref, 0 AS i, list_transform(ref, lambda t: 0) AS line FROM tok UNION ALL SELECT pair, cand, ref, i + 1, list_transform(range(1, len(ref) + 1), lambda k: list_max(cells[1:k])) FROM (SELECT *, {cells} AS cells FROM folded WHERE i < len(cand))"),
         ("ends", "SELECT pair, coalesce(line[len(ref)], 0)::INT AS lcs, len(cand) AS c, len(ref) AS r FROM folded WHERE i = len(cand)"),
         ("shares", "SELECT pair, lcs, CASE WHEN c > 0 THEN lcs / c ELSE 0.0::DOUBLE END AS p, CASE WHEN r > 0 THEN lcs / r ELSE 0.0::DOUBLE END AS q FROM ends"),
     ], f"SELECT {columns}, CASE WHEN lcs > 0 THEN 2.0 * p * q / (q + p) ELSE 0.0::DOUBLE END AS lcs_f FROM shares")
 
 
-@query("lcs_overlap", _lcs_sql(2048, 'pair, lcs, p AS "precision", q AS recall'))
+@query("lcs_overlap", _lcs_sql('pair, lcs, p AS "precision", q AS recall'))
 def lcs_overlap(spark, sf):
     return metrics.lcs_overlap(_replies(spark, sf)).select("pair", "lcs", "precision", "recall", "lcs_f")
 
 
-@query("lcs_overlap_native", _lcs_sql(40, "pair, lcs"))
-def lcs_overlap_native(spark, sf):
-    short = carriers.reply_pairs(spark, sf).select(F.concat_ws("-", "conv_id", "turn").alias("pair"), metrics.tokens(F.col("candidate"), 40).alias("cand"), metrics.tokens(F.col("reference"), 40).alias("ref"))
-    return metrics.lcs_overlap(short, arrow=False).select("pair", "lcs", "lcs_f")
-
-
 def _measured(generated: DataFrame) -> DataFrame:
     pairs = generated.select("pair_id", "language", metrics.tokens(F.col("generated")).alias("cand"), metrics.tokens(F.col("doc")).alias("ref"))
     return metrics.lcs_overlap(pairs).join(metrics.bleu(pairs, "pair_id", smooth="add1"), "pair_id").select("pair_id", "language", "bleu", "lcs_f")
@@ -652,15 +646,15 @@ def cyclomatic_proxy(spark, sf):
     return _functions(spark, sf).select("pair_id", extract.cyclomatic_proxy(F.col("code")).cast("int").alias("proxy"))
 
 
-_WORDS8 = "SELECT DISTINCT {id}, array_to_string(w[i : i + 7], ' ') AS gram FROM (SELECT {id}, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT {id}, regexp_extract_all(lower(text), '[a-z0-9_]+') AS w FROM {t}))"
+_WORDS8 = "SELECT DISTINCT {id}, array_to_string(w[i : i + 7], ' ') AS gram FROM (SELECT {id}, w, unnest(range(1, greatest(len(w) - 6, 2))) AS i FROM (SELECT {id}, regexp_extract_all(lower(text), '[a-z0-9_]+') AS w FROM {t}) WHERE len(w) > 0)"
 
 
 @query("benchmark_overlap", f"WITH d AS ({_WORDS8.format(id='doc_id', t='documents')}), b AS ({_WORDS8.format(id='item_id', t='benchmark')}) SELECT doc_id, item_id, count(*) AS shared FROM d JOIN b USING (gram) GROUP BY doc_id, item_id")
 def benchmark_overlap(spark, sf):
-    """Distinct shared eight-word passages; each side is reduced to distinct passages before the join."""
+    """Distinct shared eight-word passages (a text of fewer words is one passage); each side is reduced to distinct ones before the join."""
     def grams(table, key):
-        w = load(spark, sf, table).select(key, F.regexp_extract_all(F.lower("text"), F.lit("[a-z0-9_]+"), F.lit(0)).alias("w")).filter(F.size("w") >= 8)
-        return w.select(key, F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.array_join(F.slice("w", i, 8), " ")))).alias("gram"))
+        w = load(spark, sf, table).select(key, F.regexp_extract_all(F.lower("text"), F.lit("[a-z0-9_]+"), F.lit(0)).alias("w")).filter(F.size("w") > 0)
+        return w.select(key, F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 7, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 8), " ")))).alias("gram"))
     return grams("documents", "doc_id").join(grams("benchmark", "item_id"), "gram").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("shared"))
 
 
