@@ -86,6 +86,37 @@ SELECT doc_id AS pair_id, source AS repo, concat(source, '/', g, '.', language)
 FROM ({parts}) parts"""
 
 
+LICENCES = ("mit", "apache-2.0", "gpl-3.0", "proprietary")
+
+
+def source_sql(d, source: str) -> str:
+    """SELECT of one small source file per function of C1, in its language's own syntax, with what should be read back.
+
+    The file holds the function's name, parameters, types, summary and as many decisions as C1 counts.  Repositories get
+    a licence and idle days from digests of their names.
+    """
+    summary = f"trim({d.replace(d.replace(d.at(d.split('doc', chr(10)), 1), '[^A-Za-z0-9 ]', ' '), '[ ]+', ' ')})"
+    typed, nl = "typed_slots > 0", d.lit(chr(10))
+    def params(before, after):
+        return d.join(d.each("param_names", "x", f"concat({before}, x, {after})"), ", ")
+    none, suffix = d.lit(""), f"CASE WHEN {typed} THEN {d.lit(': int')} ELSE {d.lit('')} END"
+    branches = f"repeat(concat({d.lit('    if (flag) { step(); }')}, {nl}), complexity - 1)"
+    tail = f"{branches}, {d.lit('    return 0;')}, {nl}, {d.lit('}')}, {nl}"
+    block = f"CASE WHEN summary <> '' THEN concat({d.lit('/** ')}, summary, {d.lit(' */')}, {nl}) ELSE '' END"
+    text = f"""CASE language
+WHEN 'python' THEN concat({d.lit('def ')}, name, '(', {params(none, suffix)}, ')', CASE WHEN {typed} AND return_type IS NOT NULL THEN concat({d.lit(' -> ')}, return_type) ELSE '' END, ':', {nl},
+  CASE WHEN summary <> '' THEN concat({d.lit('    """')}, summary, {d.lit('"""')}, {nl}) ELSE '' END, repeat(concat({d.lit('    if flag: step()')}, {nl}), complexity - 1), {d.lit('    return 0')}, {nl})
+WHEN 'javascript' THEN concat({block}, {d.lit('function ')}, name, '(', {params(none, none)}, {d.lit(') {')}, {nl}, {tail})
+WHEN 'typescript' THEN concat({block}, {d.lit('function ')}, name, '(', {params(none, d.lit(': int'))}, ')', CASE WHEN return_type IS NOT NULL THEN concat(': ', return_type) ELSE '' END, {d.lit(' {')}, {nl}, {tail})
+ELSE concat({block}, CASE WHEN language = 'java' THEN {d.lit('public ')} ELSE '' END, coalesce(return_type, 'void'), ' ', name, '(', {params(d.lit('int '), none)}, {d.lit(') {')}, {nl}, {tail}) END"""
+    kind = f"CASE WHEN language IN ('java', 'cpp') THEN coalesce(return_type, 'void') WHEN language = 'typescript' OR (language = 'python' AND {typed}) THEN return_type END"
+    licence = d.at(d.array(*[d.lit(x) for x in LICENCES]), f"{d.digest_int('concat(repo, ' + d.lit(':licence') + ')')} % {len(LICENCES)} + 1")
+    return f"""SELECT concat(repo, '/', cast(pair_id as {d.texts()}), '.', language) AS path, repo, language, {text} AS source, {licence} AS licence,
+       {d.digest_int('concat(repo, ' + d.lit(':idle') + ')')} % 720 AS idle_days, concat({d.lit('https://example.org/')}, repo) AS url,
+       name, {d.join('param_names', ',')} AS params, {kind} AS kind, CASE WHEN summary <> '' THEN summary END AS doc, complexity
+FROM (SELECT *, {summary} AS summary FROM {source}) summarised"""
+
+
 def text_sql(source: str = "documents") -> str:
     return f"SELECT doc_id AS pair_id, source AS repo, lang AS language, text AS code, text AS doc FROM {source}"
 
@@ -105,11 +136,6 @@ def function_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.run_sql(spark, function_sql(SPARK, "@docs@"), docs=tables.load(spark, sf_dir, "documents")).select(*FUNCTION_COLUMNS)
 
 
-def function_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
-    flags = ["is_placeholder", "is_phrase", "is_generic", "is_bullets", "is_examples", "is_capped"]
-    return tables.run_sql(spark, function_sql(SPARK, "@docs@"), docs=tables.load(spark, sf_dir, "documents")).select("pair_id", *flags)
-
-
 def text_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.run_sql(spark, text_sql("@docs@"), docs=tables.load(spark, sf_dir, "documents"))
 
@@ -122,9 +148,5 @@ def reply_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.run_sql(spark, reply_sql("@turns@"), turns=tables.load(spark, sf_dir, "conversations"))
 
 
-def labelled_text(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return text_pairs(spark, sf_dir).join(tables.load(spark, sf_dir, "labels").withColumnRenamed("doc_id", "pair_id"), "pair_id")
-
-
 def function_oracle() -> str:
     return f"SELECT {', '.join(FUNCTION_COLUMNS)} FROM ({function_sql(DUCK)}) rendered"

@@ -14,19 +14,24 @@ _BRANCH = (ast.If, ast.For, ast.AsyncFor, ast.While, ast.ExceptHandler, ast.IfEx
 
 
 def select_repos(df: DataFrame, repo: str = "repo", min_rows: int = 1, min_doc_rate: float = 0.0, licences: list[str] | None = None,
-                 domain: str | None = None, per_domain: int | None = None, doc: str = "doc") -> DataFrame:
-    """Rows of repositories that pass adoption, documentation, licence and diversity tests.
+                 domain: str | None = None, per_domain: int | None = None, doc: str = "doc", max_idle_days: int | None = None) -> DataFrame:
+    """Rows of repositories that pass adoption, documentation, licence, activity and diversity tests.
 
-    Statistics come from one combined aggregate; the chosen repositories return by a semi join.
+    Statistics come from one combined aggregate; the chosen repositories return by a semi join.  Columns `licence` and
+    `idle_days` are read only if their test is on.  Rows without a repository are never chosen; an empty table gives none.
     """
     measures = [F.count(F.lit(1)).alias("rows"), F.avg((F.length(F.trim(F.coalesce(doc, F.lit("")))) > 0).cast("int")).alias("doc_rate")]
     if licences is not None:
         measures.append(F.min("licence").alias("licence"))
+    if max_idle_days is not None:
+        measures.append(F.min("idle_days").alias("idle_days"))
     if domain:
         measures.append(F.min(domain).alias("domain"))
     stats = df.groupBy(repo).agg(*measures).filter((F.col("rows") >= min_rows) & (F.col("doc_rate") >= min_doc_rate))
     if licences is not None:
         stats = stats.filter(F.col("licence").isin(licences))
+    if max_idle_days is not None:
+        stats = stats.filter(F.col("idle_days") <= max_idle_days)
     if domain and per_domain:
         stats = stats.withColumn("place", F.row_number().over(Window.partitionBy("domain").orderBy(F.desc("rows"), repo))).filter(F.col("place") <= per_domain)
     return df.join(stats.select(repo), repo, "left_semi")
@@ -156,24 +161,20 @@ def cyclomatic_proxy(code: Column) -> Column:
     return 1 + F.regexp_count(bare, F.lit(r"\b(if|elif|for|while|case|catch|except)\b"))
 
 
-def doc_of(code: Column, language: Column) -> Column:
-    """Docstring of a python body, or the block comment at the head of another one."""
-    python = F.regexp_extract(code, r'^[^\n]*:\s*\n\s*"{3}([^"]*)"{3}', 1)
-    other = F.regexp_extract(code, r"^\s*/[*]{1,2}((?:[^*]|[*](?!/))*+)[*]/", 1)
-    found = F.trim(F.when(language == "python", python).otherwise(other))
-    return F.when(found != "", found)
+def pairs(extracted: DataFrame, files: DataFrame, version: str, path: str = "path") -> DataFrame:
+    """Pair rows of the curation stages from extracted functions and the files they came from.
 
-
-def signature(header: Column) -> Column:
-    """array<struct<name,type,has_default>> of a `name(a: T = 1, b)` header."""
-    inside = F.regexp_extract(header, r"[(]([^)]*)[)]", 1)
-    items = F.filter(F.transform(F.split(inside, ","), F.trim), lambda x: x != "")
-    return F.transform(items, lambda x: F.struct(
-        F.regexp_extract(x, r"^([A-Za-z_$][\w$]*)", 1).alias("name"), F.nullif(F.trim(F.regexp_extract(x, r":\s*([^=]+)", 1)), F.lit("")).alias("type"), F.contains(x, F.lit("=")).alias("has_default")))
-
-
-def metadata(repo: Column, path: Column, first: Column, last: Column, licence: Column, url: Column, version: str) -> Column:
-    return F.struct(repo.alias("repo"), path.alias("path"), first.alias("first_line"), last.alias("last_line"), licence.alias("licence"), url.alias("url"), F.lit(version).alias("version"))
+    `files` has path, repo, licence and url, one row per path.  Every row carries its origin as `meta`: repository, path,
+    line span, licence, address and version.  The complexity of a syntax tree or scan is kept; where it is missing, the
+    keyword estimate stands in.
+    """
+    origin = files.select(F.col(path).alias("path"), "repo", "licence", "url")
+    typed = F.size(F.filter("params", lambda x: x["type"].isNotNull())) + F.col("return_type").isNotNull().cast("int")
+    meta = F.struct("repo", "path", "first_line", "last_line", "licence", "url", F.lit(version).alias("version"))
+    return extracted.join(origin, "path").select(
+        F.concat_ws(":", "path", F.col("first_line").cast("string")).alias("pair_id"), "repo", "path", "language", "name", F.col("params.name").alias("param_names"),
+        typed.alias("typed_slots"), (F.size("params") + F.col("return_type").isNotNull().cast("int")).alias("slots"), "return_type", "code", "doc",
+        F.coalesce("complexity", cyclomatic_proxy(F.col("code")).cast("int")).alias("complexity"), "logical_lines", meta.alias("meta"))
 
 
 def temporal_cutoff(df: DataFrame, ts: str, before: str) -> DataFrame:

@@ -391,7 +391,7 @@ _COUNTS = " UNION ALL ".join(f"SELECT {i} AS step, '{s}' AS stage, (SELECT count
 
 @query("funnel", P.statement(CURATED, f"SELECT *, kept / max(kept) OVER () AS retention FROM ({_COUNTS})"))
 def funnel(spark, sf):
-    return analysis.funnel(_curated(spark, sf).stages())
+    return pipeline.funnel(_functions(spark, sf), _curated(spark, sf))
 
 
 @query("corpus_summary", P.statement(CURATED, """SELECT count(*) AS pairs, round(avg(quality), 6) AS quality_mean, round(median(quality), 6) AS quality_median, round(stddev_samp(quality), 6) AS quality_sd, min(quality) AS quality_min, max(quality) AS quality_max,
@@ -552,30 +552,32 @@ def _replies(spark, sf):
     return pairs.select(F.concat_ws("-", "conv_id", "turn").alias("pair"), metrics.tokens(F.col("candidate")).alias("cand"), metrics.tokens(F.col("reference")).alias("ref"))
 
 
-def _bleu_parts(max_n=4) -> P.Parts:
+def _bleu_parts(max_n=4, source: str | None = None) -> P.Parts:
+    """`source` is a SELECT of (pair, candidate, reference)."""
+    source = source or f"SELECT conv_id || '-' || turn AS pair, candidate, reference FROM ({carriers.reply_sql()})"
     tok = "list_filter(string_split_regex(lower({0}), '[ \\n\\t]+'), lambda t: t <> '')"
     grams = " UNION ALL ".join(
         f"SELECT pair, {n} AS n, array_to_string({{0}}[i : i + {n - 1}], ' ') AS gram FROM (SELECT pair, {{0}}, unnest(range(1, len({{0}}) - {n} + 2)) AS i FROM tok)" for n in range(1, max_n + 1))
     return [
-        ("tok", f"SELECT conv_id || '-' || turn AS pair, {tok.format('candidate')} AS cand, {tok.format('reference')} AS ref FROM ({carriers.reply_sql()})"),
+        ("tok", f"SELECT pair, {tok.format('candidate')} AS cand, {tok.format('reference')} AS ref FROM ({source})"),
         ("cg", f"SELECT pair, n, gram, count(*) AS times FROM ({grams.format('cand')}) GROUP BY ALL"), ("rg", f"SELECT pair, n, gram, count(*) AS times FROM ({grams.format('ref')}) GROUP BY ALL"),
         ("clip", "SELECT c.pair, c.n, sum(least(c.times, coalesce(r.times, 0))) AS m, sum(c.times) AS t FROM cg c LEFT JOIN rg r USING (pair, n, gram) GROUP BY c.pair, c.n"),
     ]
 
 
-def _bleu_sql(smooth: str) -> str:
+def _bleu_select(smooth: str, digits: int = 6) -> str:
     m, t = "coalesce(m, 0)", "coalesce(t, 0)"
     if smooth == "add1":
         m, t = f"{m} + CASE WHEN o.n > 1 THEN 1 ELSE 0 END", f"{t} + CASE WHEN o.n > 1 THEN 1 ELSE 0 END"
     if smooth == "eps":
         m = f"CASE WHEN {m} = 0 THEN 0.1 ELSE {m} END"
-    return P.statement(_bleu_parts(), f"""SELECT pair, round(CASE WHEN min(ok) = 0 THEN 0.0 ELSE any_value(bp) * exp(avg(l)) END, 6) AS bleu FROM (
+    return f"""SELECT pair, round(CASE WHEN min(ok) = 0 THEN 0.0 ELSE any_value(bp) * exp(avg(l)) END, {digits}) AS bleu FROM (
 SELECT tok.pair, CASE WHEN len(cand) >= len(ref) THEN 1.0 WHEN len(cand) = 0 THEN 0.0 ELSE exp(1 - len(ref) / len(cand)) END AS bp, CASE WHEN ({m}) > 0 AND ({t}) > 0 THEN 1 ELSE 0 END AS ok,
-CASE WHEN ({m}) > 0 AND ({t}) > 0 THEN ln(({m})::DOUBLE / ({t})) END AS l FROM tok JOIN (SELECT unnest(range(1, 5)) AS n) o ON true LEFT JOIN clip ON clip.pair = tok.pair AND clip.n = o.n) GROUP BY pair""")
+CASE WHEN ({m}) > 0 AND ({t}) > 0 THEN ln(({m})::DOUBLE / ({t})) END AS l FROM tok JOIN (SELECT unnest(range(1, 5)) AS n) o ON true LEFT JOIN clip ON clip.pair = tok.pair AND clip.n = o.n) GROUP BY pair"""
 
 
 for _smooth, _name in (("none", "bleu_sentence"), ("add1", "bleu_sentence_add1"), ("eps", "bleu_sentence_eps")):
-    query(_name, _bleu_sql(_smooth))(lambda spark, sf, s=_smooth: metrics.bleu(_replies(spark, sf), "pair", smooth=s).select("pair", F.round("bleu", 6).alias("bleu")))
+    query(_name, P.statement(_bleu_parts(), _bleu_select(_smooth)))(lambda spark, sf, s=_smooth: metrics.bleu(_replies(spark, sf), "pair", smooth=s).select("pair", F.round("bleu", 6).alias("bleu")))
 
 
 @query("bleu_corpus", P.statement(_bleu_parts(), "SELECT round(CASE WHEN c >= r THEN 1 ELSE exp(1 - r / c) END * exp(l), 9) AS bleu FROM (SELECT avg(ln(m / t)) AS l FROM (SELECT n, sum(m) AS m, sum(t) AS t FROM clip GROUP BY n)), (SELECT sum(len(cand)) AS c, sum(len(ref)) AS r FROM tok)"))
@@ -583,18 +585,18 @@ def bleu_corpus(spark, sf):
     return metrics.bleu_corpus(_replies(spark, sf), "pair").select(F.round("bleu", 9).alias("bleu"))
 
 
-def _lcs_sql(columns: str) -> str:
+def _lcs_parts() -> P.Parts:
     """One table row per candidate token: cells that match grow from the diagonal, then a running maximum."""
     cells = "list_transform(range(1, len(ref) + 1), lambda k: CASE WHEN cand[i + 1] <> ref[k] THEN line[k] WHEN k = 1 THEN 1 ELSE line[k - 1] + 1 END)"
-    return P.statement([
-        *_bleu_parts()[:1],
+    return [
         ("folded", f"SELECT pair, cand, ref, 0 AS i, list_transform(ref, lambda t: 0) AS line FROM tok UNION ALL SELECT pair, cand, ref, i + 1, list_transform(range(1, len(ref) + 1), lambda k: list_max(cells[1:k])) FROM (SELECT *, {cells} AS cells FROM folded WHERE i < len(cand))"),
         ("ends", "SELECT pair, coalesce(line[len(ref)], 0)::INT AS lcs, len(cand) AS c, len(ref) AS r FROM folded WHERE i = len(cand)"),
         ("shares", "SELECT pair, lcs, CASE WHEN c > 0 THEN lcs / c ELSE 0.0::DOUBLE END AS p, CASE WHEN r > 0 THEN lcs / r ELSE 0.0::DOUBLE END AS q FROM ends"),
-    ], f"SELECT {columns}, CASE WHEN lcs > 0 THEN 2.0 * p * q / (q + p) ELSE 0.0::DOUBLE END AS lcs_f FROM shares")
+        ("overlap", "SELECT *, CASE WHEN lcs > 0 THEN 2.0 * p * q / (q + p) ELSE 0.0::DOUBLE END AS lcs_f FROM shares"),
+    ]
 
 
-@query("lcs_overlap", _lcs_sql('pair, lcs, p AS "precision", q AS recall'))
+@query("lcs_overlap", P.statement([*_bleu_parts()[:1], *_lcs_parts()], 'SELECT pair, lcs, p AS "precision", q AS recall, lcs_f FROM overlap'))
 def lcs_overlap(spark, sf):
     return metrics.lcs_overlap(_replies(spark, sf)).select("pair", "lcs", "precision", "recall", "lcs_f")
 
@@ -604,41 +606,112 @@ def _measured(generated: DataFrame) -> DataFrame:
     return metrics.lcs_overlap(pairs).join(metrics.bleu(pairs, "pair_id", smooth="add1"), "pair_id").select("pair_id", "language", "bleu", "lcs_f")
 
 
-@query("baseline_comparison")
+def _scored_sql(pools: str, kinds: str) -> P.Parts:
+    """scores(kind, language, bleu, lcs_f) of generated texts; `kinds` is a SELECT of (kind, pair_id, language, generated, doc) from gen."""
+    return [*P.curated(), ("parts", P.SPLIT), ("test", "SELECT * FROM parts WHERE split = 'test'"), *P.retrieval(pools), ("made", kinds),
+            *_bleu_parts(source="SELECT kind || '#' || pair_id AS pair, generated AS candidate, doc AS reference FROM made"), ("bleus", _bleu_select("add1", 15)), *_lcs_parts(),
+            ("scores", "SELECT kind, language, bleu, lcs_f FROM made JOIN bleus b ON b.pair = kind || '#' || pair_id JOIN overlap o ON o.pair = b.pair")]
+
+
+_KINDS = "SELECT 'old' AS kind, pair_id, language, template AS generated, doc FROM gen UNION ALL SELECT 'new', pair_id, language, coalesce(found, template), doc FROM gen"
+_REPORT = """SELECT l.language, n, round(bo, 6) AS bleu_untrained, round(lo, 6) AS lcs_untrained, round(bn, 6) AS bleu_retrieved, round(ln, 6) AS lcs_retrieved,
+CASE WHEN bo <> 0 THEN round((bn - bo) / bo, 6) END AS bleu_gain, CASE WHEN lo <> 0 THEN round((ln - lo) / lo, 6) END AS lcs_gain FROM wide l"""
+_STRATA = [("strata", "SELECT kind, language, count(*) AS n, avg(bleu) AS b, avg(lcs_f) AS l FROM scores GROUP BY kind, language"),
+           ("means", "SELECT * FROM strata UNION ALL SELECT kind, '(macro)', sum(n)::BIGINT, avg(b), avg(l) FROM strata GROUP BY kind UNION ALL SELECT kind, '(micro)', count(*), avg(bleu), avg(lcs_f) FROM scores GROUP BY kind"),
+           ("wide", "SELECT o.language, o.n, o.b AS bo, o.l AS lo, w.b AS bn, w.l AS ln FROM means o JOIN means w ON o.kind = 'old' AND w.kind = 'new' AND o.language = w.language")]
+
+
+@query("baseline_comparison", P.statement([*_scored_sql("SELECT 'train' AS pool, pair_id, doc, code FROM parts WHERE split = 'train'", _KINDS), *_STRATA], _REPORT))
 def baseline_comparison(spark, sf):
-    """Untrained template against retrieval from the curated training split, with relative gains."""
+    """Untrained template against retrieval from the curated training split, with relative gains: per language, macro and micro."""
     parts = settle(split.stratified(_final(spark, sf), "language", "pair_id"), "split")
     train, test = parts.filter("split = 'train'"), parts.filter("split = 'test'")
     old = metrics.report(settle(_measured(generators.untrained(test)), "scores"), "language", ["bleu", "lcs_f"])
     new = metrics.report(settle(_measured(settle(generators.retrieve(train, test), "generated")), "scores"), "language", ["bleu", "lcs_f"]).drop("n")
     joined = old.withColumnsRenamed({"bleu": "bleu_untrained", "lcs_f": "lcs_untrained"}).join(new.withColumnsRenamed({"bleu": "bleu_retrieved", "lcs_f": "lcs_retrieved"}), "language")
-    return joined.withColumn("bleu_gain", metrics.relative_gain(F.col("bleu_untrained"), F.col("bleu_retrieved"))).withColumn("lcs_gain", metrics.relative_gain(F.col("lcs_untrained"), F.col("lcs_retrieved")))
+    joined = joined.withColumn("bleu_gain", metrics.relative_gain(F.col("bleu_untrained"), F.col("bleu_retrieved"))).withColumn("lcs_gain", metrics.relative_gain(F.col("lcs_untrained"), F.col("lcs_retrieved")))
+    return joined.select("language", "n", *[F.round(c, 6).alias(c) for c in joined.columns if c not in ("language", "n")])
+
+
+_POOLS = """SELECT pool, pair_id, doc, code FROM (SELECT 'curated' AS pool, pair_id, doc, code FROM cur UNION ALL SELECT 'uncurated', pair_id, doc, code FROM fp
+UNION ALL SELECT 'uncurated_sample', pair_id, doc, code FROM (SELECT *, row_number() OVER (ORDER BY md5(pair_id::VARCHAR)) AS place FROM fp) WHERE place <= (SELECT count(*) FROM cur)) WHERE pair_id NOT IN (SELECT pair_id FROM test)"""
 
 
-@query("curation_ablation")
+@query("curation_ablation", P.statement(_scored_sql(_POOLS, "SELECT pool AS kind, pair_id, language, coalesce(found, template) AS generated, doc FROM gen"),
+       "SELECT kind AS pool, count(*) AS n, round(avg(bleu), 6) AS bleu, round(avg(lcs_f), 6) AS lcs_f FROM scores GROUP BY kind"))
 def curation_ablation(spark, sf):
-    """Retrieval from the curated pool and from an equal sample of the uncurated pool; `pipeline.run(skip=...)` gives the other pools."""
-    everything = _functions(spark, sf)
-    test = settle(split.stratified(_final(spark, sf), "language", "pair_id").filter("split = 'test'"), "test")
-    pools = {"curated": _final(spark, sf)}
-    size = pools["curated"].count()
-    pools["uncurated_sample"] = everything.orderBy(F.md5(F.col("pair_id").cast("string"))).limit(size)
+    """Retrieval from the curated pool, from everything, and from a sample of everything of the curated pool's size."""
+    everything, curated = _functions(spark, sf), _final(spark, sf)
+    test = settle(split.stratified(curated, "language", "pair_id").filter("split = 'test'"), "test")
+    sample = everything.orderBy(F.md5(F.col("pair_id").cast("string"))).limit(curated.count())  # the sample is the feature
     out = None
-    for name, pool in pools.items():
+    for name, pool in {"curated": curated, "uncurated": everything, "uncurated_sample": sample}.items():
         train = pool.join(test.select("pair_id"), "pair_id", "left_anti")
         scores = settle(_measured(settle(generators.retrieve(train, test), "generated")), "scores")
-        row = scores.agg(F.lit(name).alias("pool"), F.count(F.lit(1)).alias("n"), F.avg("bleu").alias("bleu"), F.avg("lcs_f").alias("lcs_f"))
+        row = scores.agg(F.lit(name).alias("pool"), F.count(F.lit(1)).alias("n"), F.round(F.avg("bleu"), 6).alias("bleu"), F.round(F.avg("lcs_f"), 6).alias("lcs_f"))
+        out = row if out is None else out.union(row)
+    return out
+
+
+_SKIPS = ("", "stage1", "stage2", "exact", "near", "detector")
+_LEFT_OUT = " UNION ALL ".join(f"SELECT '{k or 'nothing'}' AS left_out, * FROM ({P.statement(P.curated(k), 'SELECT count(*) AS kept, round(avg(quality), 6) AS quality_mean FROM cur')}) s{i}" for i, k in enumerate(_SKIPS))
+
+
+@query("stage_ablation", _LEFT_OUT)
+def stage_ablation(spark, sf):
+    """Kept pairs and their mean score with each stage left out in turn."""
+    out = None
+    for k in _SKIPS:
+        kept = pipeline.run(_functions(spark, sf), skip=frozenset([k] if k else [])).final
+        row = kept.agg(F.lit(k or "nothing").alias("left_out"), F.count(F.lit(1)).alias("kept"), F.round(F.avg("quality"), 6).alias("quality_mean"))
         out = row if out is None else out.union(row)
     return out
 
 
 # ---- extraction and leakage -----------------------------------------------------------------------------------------
 
-@query("function_extract")
+def _files(spark, sf):
+    from paircuration.functions.dialect import SPARK
+    from paircuration.sources.tables import run_sql
+
+    return run_sql(spark, carriers.source_sql(SPARK, "@pairs@"), pairs=_functions(spark, sf))
+
+
+_FILES = [*P.functions(), ("files", carriers.source_sql(DUCK, "fp"))]
+
+
+@query("source_files", P.statement(_FILES, "SELECT path, language, md5(source) AS digest, licence, idle_days FROM files"))
+def source_files(spark, sf):
+    return _files(spark, sf).select("path", "language", F.md5("source").alias("digest"), "licence", "idle_days")
+
+
+@query("function_extract", P.statement(_FILES, "SELECT path, language, name, params, kind AS return_type, doc, complexity FROM files"))
 def function_extract(spark, sf):
-    """Rendered java, javascript, typescript and c++ functions, parsed again."""
-    files = _functions(spark, sf).filter("language <> 'python'").select("path", F.concat(F.when(F.col("language").isin("java", "cpp"), F.lit("int ")).when(F.col("language") == "typescript", F.lit("function ")).otherwise(F.lit("")), "code").alias("source"), "language")
-    return extract.extract_functions(files).select("path", "language", "name", "complexity", "logical_lines")
+    """Functions of all five languages, read back from rendered files: python by its syntax tree, the others by a lexical scan."""
+    found = extract.extract_functions(_files(spark, sf).select("path", "source", "language"))
+    return found.select("path", "language", "name", F.array_join("params.name", ",").alias("params"), "return_type", F.trim("doc").alias("doc"), "complexity")
+
+
+@query("function_signatures", P.statement(_FILES, "SELECT language, count(*) AS functions, sum(CASE WHEN params = '' THEN 0 ELSE len(string_split(params, ',')) END)::BIGINT AS params, count(kind) AS returns, count(doc) AS documented FROM files GROUP BY language"))
+def function_signatures(spark, sf):
+    found = extract.extract_functions(_files(spark, sf).select("path", "source", "language"))
+    return found.groupBy("language").agg(F.count(F.lit(1)).alias("functions"), F.sum(F.size("params")).alias("params"), F.count("return_type").alias("returns"), F.count("doc").alias("documented"))
+
+
+_CHOSEN = "SELECT path FROM files WHERE repo IN (SELECT repo FROM files GROUP BY repo HAVING min(licence) IN ('mit', 'apache-2.0', 'gpl-3.0') AND min(idle_days) <= 600 AND count(*) >= 5)"
+
+
+@query("repo_selection_licence_activity", P.statement(_FILES, _CHOSEN))
+def repo_selection_licence_activity(spark, sf):
+    return extract.select_repos(_files(spark, sf), min_rows=5, licences=list(carriers.LICENCES[:3]), max_idle_days=600, doc="source").select("path")
+
+
+@query("source_curation")
+def source_curation(spark, sf):
+    """The whole plan from source files to split pairs with their versioned origin."""
+    done = pipeline.from_files(_files(spark, sf).select("path", "repo", "language", "source", "licence", "idle_days", "url"), "1.0", licences=list(carriers.LICENCES[:3]), max_idle_days=600, min_rows=5)
+    final = split.stratified(settle(done.final, "final"), "language", "pair_id")
+    return final.select("pair_id", "language", "quality", "ai_score", "ai_flag", "split", "meta")
 
 
 @query("cyclomatic_proxy", P.statement(P.functions(), "SELECT pair_id, (1 + len(regexp_extract_all(regexp_replace(code, '(//|#)[^\\n]*', ' ', 'g'), '\\b(if|elif|for|while|case|catch|except)\\b')))::INT AS proxy FROM fp"))

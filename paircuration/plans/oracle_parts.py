@@ -85,11 +85,36 @@ def detected(cfg: DetectorConfig = DetectorConfig(), source: str = "fp", out: st
     return [(out, f"SELECT *, {R.detector_tenths(DUCK, cfg)} AS ai_tenths, {R.matched(DUCK, cfg)} AS ai_matched, {R.detector_tenths(DUCK, cfg)} >= {cfg.tau_ai_tenths} AS ai_flag FROM (SELECT *, {base} FROM {source})")]
 
 
-def curated() -> Parts:
-    """The whole chain with exact verification: cur has the kept pairs with quality and detector columns."""
+def curated(skip: str = "") -> Parts:
+    """The whole chain with exact verification, one stage left out if named: cur has the kept pairs with quality and detector columns."""
+    kept = exact("retained", "firsts", "pair_id", BARE_CODE) if skip != "exact" else [("firsts", "SELECT * FROM retained")]
+    near_part = [*near("firsts", "pair_id", BARE_CODE), *edges("exact"), *greedy(), ("deduped", "SELECT * FROM firsts WHERE pair_id NOT IN (SELECT id FROM verdicts WHERE NOT kept)")]
     return [
-        *functions(), *stage1(), *scored(), ("retained", "SELECT * FROM scored WHERE quality >= 6.0"),
-        *exact("retained", "firsts", "pair_id", BARE_CODE), *near("firsts", "pair_id", BARE_CODE), *edges("exact"), *greedy(),
-        ("deduped", "SELECT * FROM firsts WHERE pair_id NOT IN (SELECT id FROM verdicts WHERE NOT kept)"),
-        *detected(source="deduped", out="cur"),
+        *functions(), *stage1(), *scored(source="fp" if skip == "stage1" else "stage1"), ("retained", f"SELECT * FROM scored WHERE {'true' if skip == 'stage2' else 'quality >= 6.0'}"),
+        *kept, *(near_part if skip != "near" else [("deduped", "SELECT * FROM firsts")]), *detected(source="deduped", out="cur"),
+    ]
+
+
+SPLIT = """SELECT *, CASE WHEN r <= floor(total * '0.8'::DOUBLE) THEN 'train' WHEN r <= floor(total * '0.9'::DOUBLE) THEN 'validation' ELSE 'test' END AS split
+FROM (SELECT *, row_number() OVER (PARTITION BY language ORDER BY md5('3407:' || pair_id), pair_id) AS r, count(*) OVER (PARTITION BY language) AS total FROM cur)"""
+_TOKENS = "list_sort(list_distinct(regexp_extract_all(lower(code), '[a-z0-9_]+')))"
+
+
+def retrieval(pools: str, cfg: DedupConfig = DedupConfig(num_hashes=64, bands=32, rows=2)) -> Parts:
+    """gen(pool, pair_id, language, doc, template, found): for every row of `test` and each pool, the nearest function's documentation.
+
+    `pools` is a SELECT of (pool, pair_id, doc, code).
+    """
+    mins = ", ".join(f"min(({a} * v + {b}) % {PRIME})" for a, b in coefficients(cfg))
+    jac = "len(list_intersect(a.tokens, p.tokens))"
+    return [
+        ("members", f"SELECT pool, min(pair_id) AS id, arg_min(doc, pair_id) AS doc, tokens FROM (SELECT pool, pair_id, doc, {_TOKENS} AS tokens FROM ({pools})) GROUP BY pool, tokens"),
+        ("asked", f"SELECT pair_id AS id, {_TOKENS} AS tokens FROM test"),
+        ("flat", f"SELECT pool, id, {DUCK.digest31('token')} AS v FROM (SELECT pool, id, unnest(tokens) AS token FROM members UNION ALL SELECT '', id, unnest(tokens) FROM asked)"),
+        ("sigs", f"SELECT pool, id, [{mins}] AS signature FROM flat GROUP BY pool, id"),
+        ("banded", f"SELECT pool, id, band, array_to_string(signature[band * {cfg.rows} + 1 : band * {cfg.rows} + {cfg.rows}], ',') AS key FROM sigs, (SELECT unnest(range({cfg.bands})) AS band)"),
+        ("proposed", "SELECT DISTINCT p.pool, a.id AS asked_id, p.id AS pool_id FROM banded a JOIN banded p ON a.pool = '' AND p.pool <> '' AND a.band = p.band AND a.key = p.key"),
+        ("ranked", f"SELECT x.pool, asked_id, p.doc, row_number() OVER (PARTITION BY x.pool, asked_id ORDER BY {jac} / (len(a.tokens) + len(p.tokens) - {jac}) DESC, pool_id) AS place FROM proposed x JOIN asked a ON a.id = asked_id JOIN members p ON p.pool = x.pool AND p.id = pool_id"),
+        ("gen", r"""SELECT n.pool, t.pair_id, t.language, t.doc, lower(regexp_replace(regexp_replace(t.name, '([a-z])([A-Z])', '\1 \2', 'g'), '_', ' ', 'g')) || ' ' || array_to_string(t.param_names, ' ') AS template, r.doc AS found
+FROM test t CROSS JOIN (SELECT DISTINCT pool FROM members) n LEFT JOIN ranked r ON r.pool = n.pool AND r.asked_id = t.pair_id AND r.place = 1"""),
     ]

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from paircuration.config import CurationConfig
-from paircuration.operators import dedup, detector, greedy, stage1, stage2
+from paircuration.operators import dedup, detector, extract, greedy, stage1, stage2
 from paircuration.sources.scratch import settle
 
 
@@ -55,3 +55,28 @@ def run(pairs: DataFrame, cfg: CurationConfig = CurationConfig(), skip: frozense
     deduped = firsts if "near" in skip else near_dedup(firsts, "pair_id", text, cfg.dedup)
     final = deduped if "detector" in skip else detector.policy(detector.score(deduped, cfg.detector), cfg.detector)
     return Curation(pairs, filtered, retained, firsts, deduped, final)
+
+
+def funnel(pairs: DataFrame, curation: Curation, cfg: CurationConfig = CurationConfig()) -> DataFrame:
+    """Rows after each stage and the share of all candidates; the threshold and score stages are counted in one annotated pass."""
+    judged = stage2.score(stage2.dimensions(stage1.apply(pairs, cfg.stage1, "annotate")), cfg.stage2)
+    passing = F.size("failed") == 0
+    counts = judged.agg(F.count(F.lit(1)).alias("candidates"), F.count_if(passing).alias("stage1"), F.count_if(passing & (F.col("quality") >= cfg.stage2.min_score)).alias("stage2"))
+    rows = counts.selectExpr("stack(3, 0, 'candidates', candidates, 1, 'stage1', stage1, 2, 'stage2', stage2) as (step, stage, kept)")
+    for i, (name, df) in enumerate(curation.stages()[3:]):
+        rows = rows.union(df.agg(F.count(F.lit(1)).alias("kept")).select(F.lit(i + 3).alias("step"), F.lit(name).alias("stage"), "kept"))
+    return rows.withColumn("retention", F.try_divide("kept", F.max("kept").over(Window.partitionBy(F.lit(1)))))  # six rows
+
+
+def from_files(files: DataFrame, version: str, cfg: CurationConfig = CurationConfig(), licences: list[str] | None = None, max_idle_days: int | None = None,
+               min_rows: int = 1, ts: str | None = None, before: str | None = None) -> Curation:
+    """The whole plan: repository choice, temporal cutoff, extraction, the four stages; `split.stratified` deals the result.
+
+    `files` has path, repo, language, source, licence, idle_days and url; repositories are judged by their files.  Files
+    without a readable function give no rows.
+    """
+    chosen = extract.select_repos(files, min_rows=min_rows, licences=licences, max_idle_days=max_idle_days, doc="source")
+    if ts is not None and before is not None:
+        chosen = extract.temporal_cutoff(chosen, ts, before)
+    found = extract.extract_functions(chosen)
+    return run(settle(extract.pairs(found, chosen, version), "extracted"), cfg)

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from paircuration.operators import dedup
 from paircuration.plans import oracle_parts as P
-from paircuration.sources.scratch import fresh
+from paircuration.sources.scratch import fresh, settle
 from paircuration.sources.tables import as_timestamp, load
 from paircuration.streaming import jobs
 
@@ -98,13 +98,13 @@ _NEAR = [*P.exact("documents", "firsts", "doc_id", P.COLLAPSE.format("text")), *
 def stream_near_dedup(spark, sf):
     """Documents in four chunks by id through a file stream; the kept rows equal those of the one-pass batch."""
     docs = load(spark, sf, "documents", ["doc_id", "text"])
-    first = dedup.exact(docs, F.trim(F.regexp_replace("text", "[ \t\n\r]+", " ")), ["doc_id"])
+    first = settle(dedup.exact(docs, F.trim(F.regexp_replace("text", "[ \t\n\r]+", " ")), ["doc_id"]), "firsts")
     top = docs.agg(F.max("doc_id")).first()[0] or 0
-    path = fresh(spark, "chunks")
-    for i in range(4):  # files arrive in this order
-        first.filter((F.col("doc_id") * 4 >= i * (top + 1)) & (F.col("doc_id") * 4 < (i + 1) * (top + 1))).coalesce(1).write.mode("append").parquet(path)
-    stream = spark.readStream.schema(docs.schema).option("maxFilesPerTrigger", 1).parquet(path)
-    state = jobs.NearDedupStream(spark)
-    job = stream.writeStream.option("checkpointLocation", f"{path}-state").foreachBatch(lambda df, i: state.step(df, i) and None).trigger(availableNow=True).start()
-    job.awaitTermination()
+    path, index = fresh(spark, "chunks"), fresh(spark, "near-index")
+    for i in range(4):  # each chunk arrives and is worked off by a job of its own, which finds the index in its folder
+        first.filter((F.col("doc_id") * 4 >= i * (top + 1)) & (F.col("doc_id") * 4 < (i + 1) * (top + 1))).write.mode("append").parquet(path)
+        stream = spark.readStream.schema(docs.schema).parquet(path)
+        state = jobs.NearDedupStream(spark, folder=index)
+        job = stream.writeStream.option("checkpointLocation", f"{path}-state").foreachBatch(lambda df, n, state=state: state.step(df, n) and None).trigger(availableNow=True).start()
+        job.awaitTermination()
     return state.kept().select("doc_id")

@@ -78,13 +78,23 @@ def running_totals(events: DataFrame) -> DataFrame:
 class NearDedupStream:
     """Incremental near-duplicate removal: each batch meets the index of kept rows, then the ordered pass inside itself.
 
-    The index is a table (band, key, id, tokens) per batch number below one folder, not operator state: it grows on disk,
-    and a batch that is run again replaces its own part.
+    The index lies below one folder: for each batch number the kept rows and their band keys.  A finished part has a
+    marker, and parts are listed from the folder, so a job that starts again there knows all earlier batches; a batch that
+    is run again replaces its own part.  Rows of later batches must follow in the order.
     """
 
-    def __init__(self, spark: SparkSession, cfg: DedupConfig = DedupConfig()):
-        self.spark, self.cfg, self.folder = spark, cfg, fresh(spark, "near-index")
-        self.parts: list[int] = []
+    def __init__(self, spark: SparkSession, cfg: DedupConfig = DedupConfig(), folder: str | None = None):
+        self.spark, self.cfg, self.folder = spark, cfg, (folder or fresh(spark, "near-index")).rstrip("/")
+
+    @property
+    def parts(self) -> list[int]:
+        """Numbers of the finished batches."""
+        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/index")
+        files = path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        if not files.exists(path):
+            return []
+        done = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+        return sorted(int(x.getPath().getName()) for x in files.listStatus(path) if files.exists(done(x.getPath(), "_SUCCESS")))
 
     def _read(self, kind: str, before: int) -> DataFrame | None:
         paths = [f"{self.folder}/{kind}/{b}" for b in self.parts if b < before]
@@ -108,8 +118,6 @@ class NearDedupStream:
         kept.write.mode("overwrite").parquet(f"{self.folder}/rows/{number}")
         stored = self.spark.read.schema(kept.schema).parquet(f"{self.folder}/rows/{number}")
         idx.join(stored.select(id_col), id_col, "left_semi").write.mode("overwrite").parquet(f"{self.folder}/index/{number}")
-        if number not in self.parts:
-            self.parts.append(number)
         return stored
 
     def kept(self) -> DataFrame:
