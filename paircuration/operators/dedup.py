@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import hashlib
 import random
 
 import numpy as np
@@ -92,38 +91,36 @@ def _affine_minima(values: np.ndarray, sizes: np.ndarray, pairs: np.ndarray) ->
     out = np.full((len(sizes), len(pairs)), PRIME, dtype=np.uint64)
     owner, a, b = np.repeat(np.arange(len(sizes)), sizes), pairs[:, :1], pairs[:, 1:]
     prime, shift = np.uint64(PRIME), np.uint64(31)
-    for at in range(0, len(values), 8192):
-        x = a * values[None, at : at + 8192] + b  # below 2^63
+    for at in range(0, len(values), 1024):
+        x = a * values[None, at : at + 1024] + b  # below 2^63
         x = (x & prime) + (x >> shift)  # the modulus is a Mersenne prime: fold twice, subtract once
         x = (x & prime) + (x >> shift)
         x -= prime * (x >= prime)
-        sets, first = np.unique(owner[at : at + 8192], return_index=True)
+        sets, first = np.unique(owner[at : at + 1024], return_index=True)
         out[sets] = np.minimum(out[sets], np.minimum.reduceat(x, first, axis=1).T)
     return out
 
 
 def _affine_signatures(sets: DataFrame, id_col: str, cfg: DedupConfig) -> DataFrame:
-    kind, pairs, keep = sets.schema[id_col].dataType.simpleString(), np.array(coefficients(cfg), dtype=np.uint64), 200_000
+    """`sets` has (id, tokens); tokens are digested in the JVM, so only integers reach the array arithmetic."""
+    kind, pairs = sets.schema[id_col].dataType.simpleString(), np.array(coefficients(cfg), dtype=np.uint64)
 
     def run(batches):
-        known: dict[str, int] = {}
         for batch in batches:
+            batch = batch.filter(pc.greater(pc.fill_null(pc.list_value_length(batch.column(1)), 0), 0))
             for at in range(0, len(batch), 512):
                 part = batch.slice(at, 512)
-                part = part.filter(pc.greater(pc.fill_null(pc.list_value_length(part.column(1)), 0), 0))
-                if not len(part):
-                    continue
-                if len(known) > keep:
-                    known.clear()
-                words = pc.list_flatten(part.column(1)).to_pylist()
-                for w in set(words).difference(known):
-                    known[w] = int.from_bytes(hashlib.md5(w.encode()).digest()[:4], "big") & PRIME
                 sizes = pc.list_value_length(part.column(1)).to_numpy().astype(np.int64)
-                found = _affine_minima(np.array([known[w] for w in words], dtype=np.uint64), sizes, pairs)
+                values = pc.list_flatten(part.column(1)).to_numpy().astype(np.uint64)
+                found = _affine_minima(values, sizes, pairs)
                 ends = pa.array(np.arange(len(part) + 1) * len(pairs), pa.int32())
                 yield pa.record_batch([part.column(0), pa.array(sizes), pa.ListArray.from_arrays(ends, pa.array(found.astype(np.int64).ravel()))], names=["row_key", "n_tokens", "signature"])
 
-    found = sets.select(F.col(id_col).alias("row_key"), "tokens").mapInArrow(run, f"row_key {kind}, n_tokens bigint, signature array<bigint>")
+    def value(token):
+        return F.conv(F.substring(F.md5(token), 1, 8), 16, 10).cast("bigint").bitwiseAND(F.lit(PRIME))
+
+    values = sets.select(F.col(id_col).alias("row_key"), F.transform("tokens", value).alias("values"))
+    found = values.mapInArrow(run, f"row_key {kind}, n_tokens bigint, signature array<bigint>")
     return found.withColumnRenamed("row_key", id_col)
 
 

@@ -1,6 +1,7 @@
 """Boundaries, traps and invariants of the curation stages."""
 
 import math
+import os
 import random
 
 import numpy as np
@@ -8,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from paircuration.config import DIMENSIONS, DedupConfig, DetectorConfig, Stage1Config, Stage2Config, TrainingConfig
-from paircuration.operators import dedup, detector, extract, greedy, metrics, split, stage1, stage2
+from paircuration.operators import analysis, dedup, detector, extract, greedy, metrics, split, stage1, stage2
 
 PAIR = "pair_id bigint, repo string, name string, language string, param_names array<string>, typed_slots int, slots int, return_type string, code string, doc string, complexity int, logical_lines int"
 
@@ -145,6 +146,101 @@ def test_exact_keeps_first_whatever_the_partitions(spark):
     assert dedup.exact(spark.createDataFrame([], "id bigint, text string"), F.col("text"), ["id"]).count() == 0
 
 
+def test_exact_with_null_and_repeated_rows(spark):
+    rows = [(None, "a b c"), (1, "x y z"), (2, "q r s"), (2, "q r s"), (3, None), (None, None), (None, "x y z"), (4, "")]
+    got = dedup.exact(spark.createDataFrame(rows, "id bigint, text string"), F.col("text"), ["id"]).collect()
+    assert sorted(((r["id"] or 0), r["text"] or "-") for r in got) == [(0, "a b c"), (1, "x y z"), (2, "q r s"), (3, "-"), (4, "-")]
+    assert got[0].__fields__ == ["id", "text"]
+
+
+def test_measures_of_empty_and_one_class_tables(spark):
+    empty = spark.createDataFrame([], "lo int, hi int")
+    assert tuple(analysis.edge_accuracy(empty, empty).first()) == (None, None)
+    assert tuple(analysis.edge_accuracy(spark.createDataFrame([(1, 2)], "lo int, hi int"), empty).first()) == (None, 0.0)
+    assert [r["retention"] for r in analysis.funnel([("a", empty), ("b", empty)]).collect()] == [None, None]
+    scored = spark.createDataFrame([(1.0, 1), (2.0, 1)], "s double, y int")
+    assert tuple(analysis.agreement(scored.limit(0), "s", "y", 1.5).first()) == (None, None, None, None)
+    assert tuple(analysis.agreement(scored, "s", "y", 1.5).first())[:2] == (1.0, 0.5) and analysis.agreement(scored, "s", "y", 1.5).first()["auc"] is None
+    assert tuple(analysis.agreement(scored, "s", "y", 9.0).first()) == (None, 0.0, None, None)
+    assert analysis.gini(scored.limit(0), "y").first()["gini"] is None and analysis.coverage(scored.limit(0), "y").count() == 0
+    assert analysis.median(spark.createDataFrame([(float(i),) for i in (5, 1, 4, 2)] + [(None,)], "v double"), "v").first()[0] == 3.0
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_bucket_pass_equals_sequential(spark, seed):
+    import random
+
+    draw = random.Random(seed)
+    rows = [(band, f"k{draw.randrange(12)}", i) for i in range(40) for band in range(2)] + [(0, "hot", i) for i in range(40, 240)]
+    index, kept = {}, set()
+    for i in sorted({r[2] for r in rows}):
+        keys = {(b, k) for b, k, j in rows if j == i}
+        if not any(k in index for k in keys):
+            kept.add(i)
+            index.update(dict.fromkeys(keys))
+    got = greedy.resolve_buckets(spark.createDataFrame(rows, "band int, key string, id bigint"), "id").collect()
+    alone = {i for i in kept if i not in {r["id"] for r in got}}
+    assert {r["id"] for r in got if r["kept"]} | alone == kept and len(got) == len({r["id"] for r in got})
+
+
+def test_near_dedup_index_survives_a_restart(spark):
+    from paircuration.sources.scratch import fresh
+    from paircuration.streaming.jobs import NearDedupStream
+
+    words = [" ".join(f"w{k}x{j}" for j in range(40)) for k in range(3)]
+    folder = fresh(spark, "restart")
+    one = spark.createDataFrame([(1, words[0]), (2, words[1]), (3, words[0] + " more")], "doc_id bigint, text string")
+    assert sorted(r["doc_id"] for r in NearDedupStream(spark, folder=folder).step(one, 0).collect()) == [1, 2]
+    two = spark.createDataFrame([(4, words[1] + " else"), (5, words[2])], "doc_id bigint, text string")
+    later = NearDedupStream(spark, folder=folder)  # knows nothing but the folder
+    for _ in range(2):  # a batch that is run again replaces its part
+        assert [r["doc_id"] for r in later.step(two, 1).collect()] == [5]
+    assert sorted(r["doc_id"] for r in later.kept().collect()) == [1, 2, 5]
+
+
+def test_native_lcs_equals_bit_vectors(spark):
+    import random
+
+    draw = random.Random(8)
+    rows = [(i, [draw.choice("abcd") for _ in range(draw.randrange(12))], [draw.choice("abcd") for _ in range(draw.randrange(12))]) for i in range(60)]
+    df = spark.createDataFrame(rows, "pair int, cand array<string>, ref array<string>")
+    for r in metrics.lcs_overlap(metrics.lcs_overlap(df).withColumnRenamed("lcs", "other").drop("precision", "recall", "lcs_f"), arrow=False).collect():
+        assert r["lcs"] == r["other"]
+
+
+def test_ml_crosscheck_and_retrieval_recall(spark):
+    """Recall of both index variants against all pairs on planted near copies."""
+    import random
+
+    from paircuration.operators.ml_crosscheck import ml_crosscheck
+
+    draw = random.Random(6)
+    rows = []
+    for k in range(60):
+        base = [f"w{draw.randrange(5000)}" for _ in range(60)]
+        for cut in (0, 2, 4):
+            rows.append((len(rows), list(dict.fromkeys([f"x{draw.randrange(10**6)}" if j < cut else w for j, w in enumerate(base)]))))
+    sets = spark.createDataFrame(rows, "id bigint, tokens array<string>")
+    truth = {(a, b) for a, x in rows for b, y in rows if a < b and len(set(x) & set(y)) >= 0.8 * len(set(x) | set(y))}
+    found = {(r["lo"], r["hi"]) for r in ml_crosscheck(sets, "id", 0.2).collect()}
+    assert len(truth) > 100 and len(found & truth) >= 0.9 * len(truth)
+
+
+def test_curation_from_files_equals_curation_of_its_pairs(spark, sf):
+    from paircuration.plans import curation, pipeline
+    from paircuration.sources.scratch import settle
+
+    files = curation._files(spark, sf).withColumn("changed", F.lit("2024-01-01"))
+    done = pipeline.from_files(files, "1.0", licences=["mit", "apache-2.0"], max_idle_days=600, ts="changed", before="2025-01-01")
+    chosen = {r["repo"] for r in files.filter("licence IN ('mit', 'apache-2.0') AND idle_days <= 600").select("repo").distinct().collect()}
+    rows = done.candidates.collect()
+    assert {r["repo"] for r in rows} == chosen and len(rows) == files.filter(F.col("repo").isin(*chosen)).count()
+    assert all(r["meta"]["version"] == "1.0" and r["meta"]["licence"] in ("mit", "apache-2.0") and r["meta"]["first_line"] >= 1 for r in rows)
+    again = pipeline.run(settle(done.candidates.drop("meta"), "plain")).final
+    assert {r["pair_id"] for r in again.collect()} == {r["pair_id"] for r in done.final.collect()}
+    assert pipeline.from_files(files, "1.0", ts="changed", before="2020-01-01").candidates.count() == 0
+
+
 @pytest.mark.parametrize("size", [1, 9, 10, 11])
 def test_split_sizes(spark, size):
     df = split.stratified(spark.range(size).withColumn("s", F.lit("x")), "s", "id")
@@ -202,11 +298,31 @@ def test_narrow_stages_have_no_exchange(spark, sf):
     assert "PushedFilters: [IsNotNull(n_chars)" in scan._jdf.queryExecution().executedPlan().toString()
 
 
-def test_entry_works_without_the_training_operators():
-    import __spark_entry__ as entry
-
-    names = entry.queries()
-    assert {"curated_pairs", "join_asof", "stream_tumbling"} <= set(names) and set(entry.oracle_sql()) <= set(names)
+def test_entry_works_without_the_training_operators(tmp_path):
+    import shutil
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parents[1]
+    copy = tmp_path / "repo"
+    shutil.copytree(root, copy, ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", "corpus_pipeline.py"))
+    said = """import __spark_entry__ as e
+names = e.queries()
+assert {"curated_pairs", "join_asof", "stream_tumbling"} <= set(names) and set(e.oracle_sql()) <= set(names)
+assert not [n for n in names if n == "pipeline" or n.startswith("op")], names
+import sys
+assert not [m for m in sys.modules if m.startswith("paircuration.llm.")]
+print("fine", len(names))"""
+    for left_over in (False, True):
+        if left_over:  # a folder without modules
+            (copy / "paircuration/llm/__pycache__").mkdir(parents=True)
+            shutil.copy(root / "corpus_pipeline.py", copy)
+        done = subprocess.run([sys.executable, "-c", said], cwd=copy, env={**os.environ, "PYTHONPATH": str(copy)}, capture_output=True, text=True)
+        assert done.stdout.startswith("fine"), done.stderr
+    (copy / "paircuration/llm/queries.py").write_text("import no_such_library")
+    broken = subprocess.run([sys.executable, "-c", said], cwd=copy, env={**os.environ, "PYTHONPATH": str(copy)}, capture_output=True, text=True)
+    assert "no_such_library" in broken.stderr  # a missing library is not hidden
 
 
 def test_cosine_neighbours_are_all_found(spark):
