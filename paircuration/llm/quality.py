@@ -1,8 +1,8 @@
 """Quality classifier: regularised quadratic discriminant over transformed document statistics.
 
 Each class has a mean and a covariance, shrunk towards the pooled covariance and then towards a scaled identity.  A
-score is the logistic of the difference of the two Gaussian log densities plus the log prior ratio, tempered by a slope
-fitted on the training rows; Mahalanobis distances use Cholesky factors computed once and sent with the model.
+score is the logistic of the difference of the two Gaussian log densities plus the log prior ratio, tempered by the fixed
+slope SLOPE; Mahalanobis distances use Cholesky factors computed once and sent with the model.
 
 The sufficient statistics (counts, sums, cross products) are aggregated over every labelled row outside the held-out
 fold, so what is collected is one small matrix per class.  Defined results: null counts as empty; an empty text has
@@ -28,6 +28,7 @@ _CLASS[[33, 35, 36, 37, 38, 42, 43, 47, 60, 61, 62, 64, 91, 92, 93, 94, 95, 96,
 _CLASS[[34, 39, 40, 41, 44, 45, 46, 58, 59, 63]] = 3
 _CLASS[[9, 10, 11, 12, 13, 32]] = 5
 _FLOOR = 0.002
+SLOPE = 0.5  # the statistics overlap in what they measure, so plain Gaussian log ratios are too sure of themselves
 
 
 def statistics(text: bytes) -> list[float]:
@@ -114,7 +115,7 @@ def fit(rows: DataFrame, labels: DataFrame, label_col: str = "quality", id_col:
         own = by[k][2] if by[k][0] > 1 else pooled
         mixed = (1 - shrink) * own + shrink * pooled
         covs.append((1 - ridge) * mixed + ridge * level * np.eye(len(mixed)))
-    return Discriminant([by[k][1] for k in (0, 1)], covs, [by[k][0] / total for k in (0, 1)], slope=0.5)
+    return Discriminant([by[k][1] for k in (0, 1)], covs, [by[k][0] / total for k in (0, 1)], slope=SLOPE)
 
 
 def score(rows: DataFrame, model: Discriminant | float, id_col: str = "doc_id") -> DataFrame:
