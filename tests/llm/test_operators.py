@@ -392,6 +392,58 @@ def test_url_models_tell_the_classes_apart(spark):
     assert "Python" not in url_filter.scored(df, url_filter.train(df))._jdf.queryExecution().executedPlan().toString()
 
 
+def plain_url_scores(ruled, urls):
+    """Mean log ratio of two interpolated Witten-Bell models per symbol, by plain counting."""
+    def symbols(text):
+        out = []
+        for ch in text:
+            ch = ch.lower() if "A" <= ch <= "Z" else ch
+            out.append(ord(ch) - 96 if "a" <= ch <= "z" else 27 if "0" <= ch <= "9" else {".": 28, "-": 29, "/": 30}.get(ch, 31))
+        return out
+
+    def grams(text):
+        row = [0, 0, 0, *symbols(text)]
+        return [tuple(row[i : i + 4]) for i in range(len(row) - 3)]
+
+    counts = {1: {}, 0: {}}
+    for text, label in ruled:
+        for g in grams(text):
+            for k in range(1, 5):
+                own = counts[label].setdefault(g[4 - k : 3], {})
+                own[g[3]] = own.get(g[3], 0) + 1
+
+    def probability(label, g):
+        p = 1 / 32
+        for k in range(1, 5):
+            seen = counts[label].get(g[4 - k : 3], {})
+            if seen:
+                p = (seen.get(g[3], 0) + len(seen) * p) / (sum(seen.values()) + len(seen))
+        return p
+
+    return {u: sum(np.log(probability(1, g) / probability(0, g)) for g in grams(u)) / max(1, len(grams(u))) for u in urls}
+
+
+def test_url_scores_and_cut_by_plain_counting(spark):
+    draw = random.Random(12)
+    rows = [f"http://{draw.choice(['a', 'shop', 'x1'])}.{draw.choice(['example.com/en/7', 'net/de/', 'b.org/es/', 'com/en/', 'fr/fr/', 'biz/'])}{draw.choice(['deal', 'news', 'WIN'])}{draw.randrange(90)}" for _ in range(300)]
+    df = spark.createDataFrame(list(enumerate(rows)), "page_id bigint, url string")
+    got = {r["url"]: r for r in url_filter.judge(df).collect()}
+    spelled = {u: "".join(plain_rule(u)[:2]) for u in rows}
+    held = {r["s"]: r["h"] for r in spark.createDataFrame([(s,) for s in set(spelled.values())], "s string").selectExpr("s", "pmod(xxhash64(s), 5) = 0 AS h").collect()}
+    verdicts = {u: plain_rule(u)[2][2] for u in rows}
+    train = [(spelled[u], int(verdicts[u] == "allow")) for u in rows if verdicts[u] and not held[spelled[u]]]
+    want = plain_url_scores(train, set(spelled.values()))
+    assert all(abs(got[u]["score"] - want[spelled[u]]) < 1e-9 for u in rows)
+    tried = [(want[spelled[u]], verdicts[u]) for u in rows if verdicts[u] and held[spelled[u]]]
+    cut = got[rows[0]]["cut"]
+    def worth(c):
+        allowed, blocked = [s for s, v in tried if v == "allow"], [s for s, v in tried if v == "block"]
+        return sum(s >= c for s in allowed) / len(allowed) + sum(s < c for s in blocked) / len(blocked)
+    assert worth(cut) >= max(worth((b + 0.5) / 50) for b in range(-201, 201)) - 1e-9
+    for u in rows:
+        assert got[u]["verdict"] == (verdicts[u] or ("allow" if want[spelled[u]] >= cut else "block"))
+
+
 # ---- toxicity and quality -------------------------------------------------------------------------------------------
 
 def labelled(spark, n=400):
@@ -459,6 +511,71 @@ def test_quality_held_out(spark, awkward, empty):
     assert quality.fit(rows, labels.filter("quality = 1")) == 1.0 and quality.fit(rows, labels.filter("doc_id < 0")) == 1.0
 
 
+def test_quality_scores_by_plain_densities(spark):
+    docs, labels = labelled(spark, 300)
+    extra = spark.createDataFrame([(1, 0, 0), (None, 1, 0), (5, None, 1)], "doc_id bigint, quality int, toxic int")  # a second, conflicting label; none; no id
+    labels = labels.union(extra)
+    rows = quality.measured(docs)
+    got = {r["doc_id"]: r["score"] for r in quality.score(rows, quality.fit(rows, labels)).collect()}
+    x = {r["row_key"]: np.array(list(r)[1:], dtype=float) for r in rows.collect()}
+    train = {0: [], 1: []}
+    for r in labels.collect():
+        if r["doc_id"] is not None and r["quality"] in (0, 1) and zlib.crc32(str(r["doc_id"]).encode()) % 3 != 1:
+            train[r["quality"]].append(x[r["doc_id"]])
+    n = sum(map(len, train.values()))
+    own = {k: np.cov(np.array(v).T, bias=True) for k, v in train.items()}
+    pooled = sum(len(train[k]) * own[k] for k in own) / n
+    def density(k, v):
+        c = 0.99 * (0.9 * own[k] + 0.1 * pooled) + 0.01 * np.trace(pooled) / len(pooled) * np.eye(len(pooled))
+        gap = v - np.mean(train[k], axis=0)
+        return np.log(len(train[k]) / n) - 0.5 * (np.linalg.slogdet(c)[1] + gap @ np.linalg.solve(c, gap))
+    for i, v in x.items():
+        z = quality.SLOPE * (density(1, v) - density(0, v))
+        assert abs(got[i] - 1 / (1 + np.exp(-np.clip(z, -40, 40)))) < 1e-6
+
+
+def test_toxicity_scores_by_a_plain_chain(spark):
+    docs, labels = labelled(spark, 200)
+    tagger = toxicity.fit(docs, labels)
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(docs, tagger).collect()}
+    for i, text in docs.collect()[:40]:
+        words = re.findall(r"\w+", text)
+        emission = [tagger.weights[toxicity._features([w])[0]].sum() + tagger.bias for w in words]
+        forward, backward = np.zeros((len(words), 2)), np.zeros((len(words), 2))
+        for t, e in enumerate(emission):
+            before = np.array([1.0, 1.0]) if t == 0 else forward[t - 1] @ tagger.moves
+            forward[t] = before * np.array([1.0, np.exp(e)])
+            forward[t] /= forward[t].sum()
+        backward[-1] = 1
+        for t in range(len(words) - 2, -1, -1):
+            backward[t] = tagger.moves @ (backward[t + 1] * np.array([1.0, np.exp(emission[t + 1])]))
+            backward[t] /= backward[t].sum()
+        p = (forward * backward)[:, 1] / (forward * backward).sum(axis=1)
+        z = np.array([np.log1p(p.sum()), p.max(), np.log1p(200 * p.sum() / len(words)), 1.0]) @ tagger.calibration
+        assert abs(got[i] - 1 / (1 + np.exp(-np.clip(z, -40, 40)))) < 1e-9
+
+
+def test_toxicity_learns_from_short_documents(spark):
+    draw = random.Random(3)
+    rows = [(i, " ".join(["zorkface" if i % 3 == 0 and j == 2 else draw.choice(["alpha", "beta", "river", "stone"]) for j in range(5)])) for i in range(300)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 3 = 0 AS int) AS toxic")
+    found = {r["doc_id"]: r["score"] for r in toxicity.score(docs, toxicity.fit(docs, labels)).collect()}
+    assert all((s >= 0.7) == (i % 3 == 0) for i, s in found.items())
+
+
+def test_one_very_long_text_among_others(spark):
+    """Batches are cut by bytes: a text of 8 MB stands alone in each operator."""
+    rows = [(i, "river stone cloud " * 20) for i in range(50)] + [(99, "delta omega " * 700_000)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    tagger = toxicity.Tagger(np.zeros(toxicity.SLOTS), -3.0, np.array([[1.0, 0.5], [0.5, 1.0]]), np.array([1.0, 1.0, 1.0, -4.0]), 0.1)
+    assert toxicity.score(docs, tagger).count() == 51 and toxicity.remove_toxic(docs, tagger).count() <= 51
+    mixture = mixing.Mixture(mixing.Membership(["a"], np.zeros((mixing.BUCKETS + 1, 1))), np.array([[1.0]]), 2.0, 2.0, [], {})
+    assert mixing.mix(docs, mixture).count() == 102
+    files = token_output.write_shards(docs, scratch(spark, "long"), token_output.public_tokenizer(), 2)
+    assert token_output.read_shards(spark, files).count() == 51
+
+
 # ---- mixing ---------------------------------------------------------------------------------------------------------
 
 def test_mixing_meets_targets(spark, sf, awkward, empty):
