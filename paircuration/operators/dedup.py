@@ -157,9 +157,10 @@ def choose_bands(tau: float, k: int, w_fp: float = 0.5, w_fn: float = 0.5) -> tu
     return min(options, key=lambda o: (w_fp * area(*o, 0.0, tau) + w_fn * area(*o, tau, 1.0), o))
 
 
-def index(sigs: DataFrame, id_col: str, cfg: DedupConfig = DedupConfig()) -> DataFrame:
-    """(band, key, id): one row per band; no shuffle."""
-    bands = [F.md5(F.array_join(F.slice("signature", i * cfg.rows + 1, cfg.rows).cast("array<string>"), ",")) for i in range(cfg.bands)]
+def index(sigs: DataFrame, id_col: str, cfg: DedupConfig = DedupConfig(), scope: str | None = None) -> DataFrame:
+    """(band, key, id): one row per band; no shuffle.  With a scope column, only rows of one scope can share a key."""
+    within = F.concat(F.coalesce(F.col(scope).cast("string"), F.lit("")), F.lit("\n")) if scope else F.lit("")
+    bands = [F.md5(F.concat(within, F.array_join(F.slice("signature", i * cfg.rows + 1, cfg.rows).cast("array<string>"), ","))) for i in range(cfg.bands)]
     return sigs.select(F.posexplode(F.array(*bands)).alias("band", "key"), F.col(id_col))
 
 

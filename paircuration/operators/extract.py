@@ -161,6 +161,22 @@ def cyclomatic_proxy(code: Column) -> Column:
     return 1 + F.regexp_count(bare, F.lit(r"\b(if|elif|for|while|case|catch|except)\b"))
 
 
+def doc_of(code: Column, language: Column) -> Column:
+    """Docstring of a python body, or the block comment at the head of another one; null if there is none."""
+    python = F.regexp_extract(code, r'^[^\n]*:\s*\n\s*"{3}([^"]*)"{3}', 1)
+    other = F.regexp_extract(code, r"^\s*/[*]{1,2}((?:[^*]|[*](?!/))*+)[*]/", 1)
+    found = F.trim(F.when(language == "python", python).otherwise(other))
+    return F.when(found != "", found)
+
+
+def signature(header: Column) -> Column:
+    """array<struct<name,type,has_default>> of a `name(a: T = 1, b)` header."""
+    inside = F.regexp_extract(header, r"[(]([^)]*)[)]", 1)
+    items = F.filter(F.transform(F.split(inside, ","), lambda x: F.trim(x)), lambda x: x != "")
+    return F.transform(items, lambda x: F.struct(
+        F.regexp_extract(x, r"^([A-Za-z_$][\w$]*)", 1).alias("name"), F.nullif(F.trim(F.regexp_extract(x, r":\s*([^=]+)", 1)), F.lit("")).alias("type"), F.contains(x, F.lit("=")).alias("has_default")))
+
+
 def pairs(extracted: DataFrame, files: DataFrame, version: str, path: str = "path") -> DataFrame:
     """Pair rows of the curation stages from extracted functions and the files they came from.
 

@@ -30,18 +30,27 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
-_rendered: dict[tuple[str, str], DataFrame] = {}
+_rendered: dict[tuple, tuple[str, DataFrame]] = {}
 
 
 def _functions(spark: SparkSession, sf: str) -> DataFrame:
-    """The ingested pair table: rendered once per application and input, then read as a table by every workload.
+    """The ingested pair table: rendered once per application and state of the input, then read as a table by every workload.
 
-    The table also keeps the optimiser from folding the renderer's expressions into those of the stages.
+    The table also keeps the optimiser from folding the renderer's expressions into those of the stages.  It is rendered
+    again if the documents' files have changed or the table has been released.
     """
-    key = (spark.sparkContext.applicationId, sf)
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    where = jvm.org.apache.hadoop.fs.Path(f"{sf}/documents.parquet")
+    state = [(str(f.getPath()), f.getLen(), f.getModificationTime()) for f in where.getFileSystem(conf).listStatus(where)]
+    key = (spark.sparkContext.applicationId, sf, tuple(sorted(state)))
+    if key in _rendered:
+        made = jvm.org.apache.hadoop.fs.Path(_rendered[key][0])
+        if not made.getFileSystem(conf).exists(made):
+            del _rendered[key]
     if key not in _rendered:
-        _rendered[key] = settle(carriers.function_pairs(spark, sf), "pairs")
-    return _rendered[key]
+        table = settle(carriers.function_pairs(spark, sf), "pairs")
+        _rendered[key] = (table.inputFiles()[0].rsplit("/", 1)[0], table)
+    return _rendered[key][1]
 
 
 def _collapsed(text="text"):
@@ -299,6 +308,35 @@ def near_dedup_comparison(spark, sf):
     return rows[0].union(rows[1])
 
 
+_SCOPED = [*P.exact("documents", "firsts", "doc_id", f"lang || ':' || {TEXT}"), *[(n, t + " JOIN firsts x ON x.doc_id = a.id JOIN firsts y ON y.doc_id = b.id AND x.lang = y.lang" if n == "cand" else t) for n, t in P.near("firsts", "doc_id", "text")]]
+
+
+@query("near_dedup_within_language", P.statement([*_SCOPED, *P.edges("exact"), *P.greedy()], "SELECT doc_id FROM firsts WHERE doc_id NOT IN (SELECT id FROM verdicts WHERE NOT kept)"))
+def near_dedup_within_language(spark, sf):
+    """Exact and near duplicates of one language only: what several languages share stays once in each."""
+    docs = load(spark, sf, "documents", ["doc_id", "lang", "text"])
+    firsts = settle(dedup.exact(docs, F.concat_ws(":", "lang", _collapsed()), ["doc_id"]), "firsts")
+    gone = greedy.resolve(pipeline.near_edges(firsts, "doc_id", F.col("text"), CFG, "lang")).filter("NOT kept").select(F.col("id").alias("doc_id"))
+    return firsts.join(gone, "doc_id", "left_anti").select("doc_id")
+
+
+@query("near_cluster_sizes", P.statement([*NEAR, *P.edges("exact"), *P.components()], "SELECT members, count(*) AS clusters FROM (SELECT count(*) AS members FROM verdicts GROUP BY root) GROUP BY members"))
+def near_cluster_sizes(spark, sf):
+    clusters = greedy.components_keep_first(_edges(spark, sf, "exact")).groupBy("root").agg(F.count(F.lit(1)).alias("members"))
+    return clusters.groupBy("members").agg(F.count(F.lit(1)).alias("clusters"))
+
+
+@query("duplicate_rates", P.statement([*NEAR, *P.edges("exact"), *P.greedy()], """SELECT 'exact' AS phase, (SELECT count(*) FROM documents) AS rows_in, (SELECT count(*) FROM documents) - (SELECT count(*) FROM firsts) AS dropped
+UNION ALL SELECT 'near', (SELECT count(*) FROM firsts), (SELECT count(*) FILTER (NOT kept) FROM verdicts)"""))
+def duplicate_rates(spark, sf):
+    """Rows that reach each phase of the duplicate removal, and rows it drops."""
+    texts = _texts(spark, sf)
+    before, between = load(spark, sf, "documents", ["doc_id"]).count(), texts.count()
+    gone = greedy.resolve(pipeline.near_edges(texts, "doc_id", F.col("text"), CFG))
+    return gone.agg(F.count_if(~F.col("kept")).alias("near")).selectExpr(
+        f"stack(2, 'exact', {before}L, {before - between}L, 'near', {between}L, near) as (phase, rows_in, dropped)")
+
+
 @query("dedup_accuracy", P.statement([*NEAR, *P.edges("exact"), ("flat", "SELECT id, len(tokens) AS n, unnest(tokens) AS token FROM sets"),
        ("truth", "SELECT a.id AS lo, b.id AS hi FROM flat a JOIN flat b ON a.token = b.token AND a.id < b.id AND 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n) GROUP BY a.id, b.id HAVING 100 * count(*) >= 80 * (any_value(a.n) + any_value(b.n) - count(*))")],
        "SELECT (SELECT count(*) FROM edges JOIN truth USING (lo, hi)) / (SELECT count(*) FROM truth) AS recall, (SELECT count(*) FROM edges JOIN truth USING (lo, hi)) / (SELECT count(*) FROM edges) AS \"precision\""))
@@ -701,6 +739,27 @@ def function_signatures(spark, sf):
 _CHOSEN = "SELECT path FROM files WHERE repo IN (SELECT repo FROM files GROUP BY repo HAVING min(licence) IN ('mit', 'apache-2.0', 'gpl-3.0') AND min(idle_days) <= 600 AND count(*) >= 5)"
 
 
+@query("doc_discovery", P.statement(_FILES, "SELECT path, doc FROM files"))
+def doc_discovery(spark, sf):
+    """Docstring of python files, block comment at the head of the others."""
+    return _files(spark, sf).select("path", extract.doc_of(F.col("source"), F.col("language")).alias("doc"))
+
+
+@query("header_signatures", P.statement(_FILES, "SELECT path, params, CASE WHEN language = 'typescript' OR (language = 'python' AND instr(source, ': int') > 0) THEN CASE WHEN params = '' THEN 0 ELSE len(string_split(params, ',')) END ELSE 0 END::INT AS typed FROM files WHERE language IN ('python', 'javascript', 'typescript')"))
+def header_signatures(spark, sf):
+    found = _files(spark, sf).filter("language IN ('python', 'javascript', 'typescript')").select("path", extract.signature(F.col("source")).alias("s"))
+    return found.select("path", F.array_join("s.name", ",").alias("params"), F.size(F.filter("s", lambda x: x["type"].isNotNull())).alias("typed"))
+
+
+@query("source_pairs", P.statement(_FILES, """SELECT path || ':' || (CASE WHEN language <> 'python' AND doc IS NOT NULL THEN 2 ELSE 1 END) AS pair_id, repo, licence, url, '1.0' AS version, complexity,
+CASE WHEN language IN ('java', 'cpp', 'typescript') OR (language = 'python' AND instr(source, ': int') > 0) THEN CASE WHEN params = '' THEN 0 ELSE len(string_split(params, ',')) END ELSE 0 END + CASE WHEN kind IS NOT NULL THEN 1 ELSE 0 END AS typed_slots FROM files"""))
+def source_pairs(spark, sf):
+    """Pair rows with their versioned origin, as the stages take them."""
+    files = _files(spark, sf)
+    rows = extract.pairs(extract.extract_functions(files.select("path", "source", "language")), files, "1.0")
+    return rows.select("pair_id", "meta.repo", "meta.licence", "meta.url", "meta.version", "complexity", F.col("typed_slots").alias("typed_slots"))
+
+
 @query("repo_selection_licence_activity", P.statement(_FILES, _CHOSEN))
 def repo_selection_licence_activity(spark, sf):
     return extract.select_repos(_files(spark, sf), min_rows=5, licences=list(carriers.LICENCES[:3]), max_idle_days=600, doc="source").select("path")

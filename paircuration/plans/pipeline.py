@@ -25,11 +25,13 @@ class Curation:
         return [("candidates", self.candidates), ("stage1", self.filtered), ("stage2", self.retained), ("exact", self.firsts), ("near", self.deduped), ("final", self.final)]
 
 
-def near_edges(df: DataFrame, id_col: str, text, cfg) -> DataFrame:
-    """(lo, hi, sim) of near-duplicate pairs by the configured verification."""
+def near_edges(df: DataFrame, id_col: str, text, cfg, scope: str | None = None) -> DataFrame:
+    """(lo, hi, sim) of near-duplicate pairs by the configured verification, inside each value of `scope` if one is named."""
     sets = df.select(id_col, dedup.token_set(text).alias("tokens"))
     sigs = dedup.signatures(df.select(id_col, text.alias("_text")), id_col, F.col("_text"), cfg)
-    pairs = dedup.candidates(dedup.index(sigs, id_col, cfg), id_col)
+    if scope:
+        sigs = sigs.join(df.select(id_col, scope), id_col)
+    pairs = dedup.candidates(dedup.index(sigs, id_col, cfg, scope), id_col)
     return dedup.verify(pairs, sigs if cfg.verify == "signature" else sets, id_col, cfg.verify, cfg.tau_lsh)
 
 

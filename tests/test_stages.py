@@ -256,6 +256,30 @@ def test_packing_and_plan(spark):
     assert len(plan) == 300 and max(r["rate"] for r in plan) == 1e-4 and plan[49]["rate"] == 1e-4 and plan[-1]["rate"] == 0
 
 
+@pytest.mark.parametrize("method", ["next_fit", "first_fit_decreasing"])
+def test_packing_fills_and_never_overfills(spark, method):
+    draw = random.Random(2)
+    sizes = [draw.randrange(1, 60) for _ in range(200)] + [150]
+    rows = split.pack(spark.createDataFrame(list(enumerate(sizes)), "id bigint, n bigint").coalesce(1), "id", "n", 100, method).collect()
+    held = {}
+    for r in rows:
+        assert r["tokens"] == min(sizes[r["id"]], 100)
+        held[r["sequence"]] = held.get(r["sequence"], 0) + r["tokens"]
+    assert len(rows) == len(sizes) and max(held.values()) <= 100
+    least = -(-sum(min(n, 100) for n in sizes) // 100)
+    assert len(held) <= (2 * least if method == "next_fit" else least * 11 // 9 + 1)
+
+
+def test_xxhash_signatures_are_minima(spark):
+    cfg = DedupConfig(family="xxhash64", num_hashes=8, bands=2, rows=4)
+    df = spark.createDataFrame([(1, "red green blue"), (2, "blue red red"), (3, "")], "id bigint, text string")
+    got = {r["id"]: (r["n_tokens"], r["signature"]) for r in dedup.signatures(df, "id", F.col("text"), cfg).collect()}
+    for i, words in ((1, ["red", "green", "blue"]), (2, ["blue", "red"])):
+        values = [spark.createDataFrame([(w,) for w in words], "w string").select(F.xxhash64(F.lit(cfg.seed + k), "w")).collect() for k in range(8)]
+        assert got[i] == (len(words), [min(r[0] for r in v) for v in values])
+    assert 3 not in got
+
+
 def test_metrics_extremes(spark):
     rows = [("same", "a b c d e", "a b c d e"), ("apart", "a b c d", "w x y z"), ("part", "the cat sat on the mat", "the cat lay on the mat")]
     df = spark.createDataFrame(rows, "id string, c string, r string").select("id", metrics.tokens(F.col("c")).alias("cand"), metrics.tokens(F.col("r")).alias("ref"))
