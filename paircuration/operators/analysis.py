@@ -1,4 +1,9 @@
-"""Corpus statistics: summary, shares, histograms, coverage, funnel, sweeps, agreement."""
+"""Corpus statistics: summary, shares, histograms, coverage, funnel, sweeps, agreement.
+
+Defined results: repeated rows count as often as they occur; null group keys form a group of their own; null values enter
+no mean, median or histogram bound but their rows are counted; tied groups rank by their key; an empty table gives no
+groups, or one row with zero counts and null measures; extra columns are ignored.
+"""
 
 from __future__ import annotations
 

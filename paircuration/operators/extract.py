@@ -1,4 +1,8 @@
-"""Repository choice and extraction of functions with their documentation from source files."""
+"""Repository choice and extraction of functions with their documentation from source files.
+
+Defined results: a null, empty or unreadable file has no functions; a file of an unknown language has none; repeated files
+are read each; very long files are parsed whole, one at a time; an empty table gives no rows; extra columns are ignored.
+"""
 
 from __future__ import annotations
 

@@ -4,6 +4,9 @@ The sequential pass over an index keeps the lexicographically first maximal inde
 It is computed in rounds: an open row whose earlier neighbours are all dropped is kept; later neighbours of kept rows
 are dropped.  The earliest open row always settles, so rounds are bounded by the longest ascending chain.  State is
 settled in the shared folder between rounds; rows without edges never enter.
+
+Defined results: repeated edges count once; ids are unique and not null; without edges there are no verdicts, and every row
+stays.
 """
 
 from __future__ import annotations
