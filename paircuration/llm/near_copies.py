@@ -12,7 +12,8 @@ verification of them all on whole shingle sets; no document goes without a verif
    shingle of their prefixes, and only pairs from two components are formed.
 
 Equal sets are one node from the start.  No band, bucket or group is capped.  A band's hub and a shingle's leading
-component are map-side aggregates that are joined back, so no group is gathered in one task.
+component are map-side aggregates that are settled and joined back, both sides straight from exchanges, so the adaptive
+skew join can split what one band or shingle holds.
 
 Defined results: texts are lower-cased in A-Z only; null counts as empty; all texts without words are copies of each
 other; a text of fewer than five words is one shingle; rows without an id stay if nothing they are copies of has one;
@@ -126,7 +127,7 @@ def _bands(nodes: DataFrame) -> DataFrame:
     """(key, me, hub) of every member of a band that holds two nodes or more."""
     members = nodes.select(F.explode("keys").alias("key"), F.struct("node", "size").alias("me"))
     hubs = members.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min_by("me", F.xxhash64("me.node", "key")).alias("hub")).filter("n > 1")
-    return members.join(hubs.select("key", "hub").hint("merge"), "key")
+    return members.join(settle(hubs.select("key", "hub"), "hubs").hint("merge"), "key")
 
 
 def _tree(edges: DataFrame) -> DataFrame:
@@ -144,16 +145,18 @@ def _rest(met: DataFrame, tree: DataFrame, sets: DataFrame) -> DataFrame:
     rooted = met.select("key", F.col("me.node").alias("node")).join(tree, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rooted = settle(rooted, "rooted")
     undecided = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low <> high").select("key")
+    undecided = settle(undecided, "undecided-bands")
     nodes = rooted.join(undecided.hint("merge"), "key", "left_semi").select("node", "root").distinct()
     inside = settle(sets.join(nodes, "node").select("node", "root", "bits", F.size("grams").alias("size"), "grams"), "undecided")
     grams = inside.select("node", "size", F.explode("grams").alias("gram"))
-    shared = grams.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    shared = settle(grams.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "shared")
     known = grams.join(shared.hint("merge"), "gram").groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("n", "gram"))).alias("known"))
     room = (F.col("size") - F.ceil(F.col("size") * TENTHS / F.lit(10)) + 1 - (F.col("size") - F.size("known"))).cast("int")
     prefix = known.withColumn("room", room).filter("room > 0").select("node", F.explode(F.slice("known.gram", F.lit(1), F.col("room"))).alias("gram"))
     prefix = settle(prefix.join(inside.select("node", "root", "size", *[F.col("bits")[i].alias(f"b{i}") for i in range(MAP)]), "node"), "prefix")
     per = prefix.groupBy("gram", "root").agg(F.count(F.lit(1)).alias("n"))
     lead = per.groupBy("gram").agg(F.max(F.struct("n", "root")).alias("most"), F.count(F.lit(1)).alias("roots")).filter("roots > 1").select("gram", F.col("most.root").alias("lead"))
+    lead = settle(lead, "leads")
     living = settle(prefix.join(lead.hint("merge"), "gram"), "living")
     differ = " + ".join(f"bit_count(x.b{i} ^ y.b{i})" for i in range(MAP))
     near = f"10 * least(x.size, y.size) >= {TENTHS} * greatest(x.size, y.size) AND {10 + TENTHS} * ({differ}) <= {10 - TENTHS} * (x.size + y.size)"

@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from paircuration.llm.common import attach, settle
@@ -102,9 +102,9 @@ def candidates(marks: DataFrame) -> DataFrame:
     sent = halves.select("mark", "half", F.explode(F.when(
         even, F.transform(flips, lambda m: F.col("half").bitwiseXOR(m))).otherwise(F.array("half"))).alias("key"))
     sent = sent.select("mark", "key", (F.col("key") == F.col("half")).cast("int").alias("own"))
-    same = Window.partitionBy("key")
-    met = sent.withColumn("n", F.count(F.lit(1)).over(same)).withColumn("owners", F.sum("own").over(same))
-    return met.filter("n >= 2 AND owners >= 1").select("mark").distinct()
+    met = sent.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("own").alias("owned")).filter("n >= 2 AND owned = 1").select("key")
+    met = settle(met, "met-halves")  # joined back from files, so the skew join can split a half that very many share
+    return sent.join(met.hint("merge"), "key", "left_semi").select("mark").distinct()
 
 
 def links(marks: DataFrame) -> DataFrame:
@@ -114,8 +114,10 @@ def links(marks: DataFrame) -> DataFrame:
     single = marks.select("mark", F.explode(F.transform(_longs(one), lambda m: F.col("mark").bitwiseXOR(m))).alias("key"), F.lit(True).alias("near"))
     odd = marks.filter(F.bit_count("mark") % 2 == 1)
     double = odd.select("mark", F.explode(F.transform(_longs(two), lambda m: F.col("mark").bitwiseXOR(m))).alias("key"), F.lit(False).alias("near"))
-    hub = F.min(F.when(F.col("near"), F.col("mark"))).over(Window.partitionBy("key"))
-    met = single.union(double).withColumn("hub", hub).filter("hub IS NOT NULL AND hub <> mark")
+    sent = single.union(double)
+    hubs = sent.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min(F.when(F.col("near"), F.col("mark"))).alias("hub"))
+    hubs = settle(hubs.filter("n >= 2 AND hub IS NOT NULL").select("key", "hub"), "hubs")
+    met = sent.join(hubs.hint("merge"), "key").filter("hub <> mark")
     close = F.bit_count(F.col("mark").bitwiseXOR(F.col("hub"))) <= 3  # the verification
     return met.filter(close).select("mark", "hub").distinct()
 
