@@ -35,6 +35,7 @@ from paircuration.llm.common import pieces, settle
 WORDS, TENTHS, SEED = 5, 8, 42  # whole tenths, so the comparison is exact
 BANDS, ROWS = 24, 4
 MAP = 8  # words of a parity map
+LAST = 8  # earlier shingles that a prefix row carries
 _draw = np.random.default_rng(SEED)
 _ODD = _draw.integers(0, 1 << 63, BANDS * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _ADD = _draw.integers(0, 1 << 63, BANDS * ROWS, dtype=np.uint64)
@@ -139,8 +140,10 @@ def _rest(met: DataFrame, tree: DataFrame, sets: DataFrame) -> DataFrame:
     """Candidate pairs (a, b) from different components, by a prefix-filtered join of the nodes in undecided bands.
 
     A node's unshared shingles are its rarest and use up places of its prefix.  Two sets that reach the similarity
-    differ in at most a ninth of their sizes' sum, and no fewer shingles differ than bits of the two parity maps; with that in
-    the join's condition it puts out few pairs besides the links, however many nodes share a shingle.
+    differ in at most a ninth of their sizes' sum, no fewer shingles differ than bits of the two parity maps, and what follows
+    their first common shingle in the order has room for all they must share.  A pair is wanted at its first common shingle
+    only: a row carries the last few shingles before its own, and a pair that shares one of them has been put out there or
+    earlier.  All this is in the join's condition, so it puts out few rows a pair, however many shingles that pair shares.
     """
     rooted = met.select("key", F.col("me.node").alias("node")).join(tree, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rooted = settle(rooted, "rooted")
@@ -151,8 +154,12 @@ def _rest(met: DataFrame, tree: DataFrame, sets: DataFrame) -> DataFrame:
     grams = inside.select("node", "size", F.explode("grams").alias("gram"))
     shared = settle(grams.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "shared")
     known = grams.join(shared.hint("merge"), "gram").groupBy("node", "size").agg(F.array_sort(F.collect_list(F.struct("n", "gram"))).alias("known"))
-    room = (F.col("size") - F.ceil(F.col("size") * TENTHS / F.lit(10)) + 1 - (F.col("size") - F.size("known"))).cast("int")
-    prefix = known.withColumn("room", room).filter("room > 0").select("node", F.explode(F.slice("known.gram", F.lit(1), F.col("room"))).alias("gram"))
+    alone = F.col("size") - F.size("known")
+    room = (F.col("size") - F.ceil(F.col("size") * TENTHS / F.lit(10)) + 1 - alone).cast("int")
+    taken = known.withColumn("alone", alone).withColumn("room", room).filter("room > 0").select("node", "alone", F.slice("known.gram", F.lit(1), F.col("room")).alias("taken"))
+    prefix = taken.select("node", "alone", "taken", F.posexplode("taken").alias("i", "gram"))
+    before = F.slice("taken", F.greatest(F.col("i") - LAST + 1, F.lit(1)), F.least("i", F.lit(LAST)))
+    prefix = prefix.select("node", "gram", (F.col("alone") + F.col("i") + 1).alias("place"), before.alias("before"))
     prefix = settle(prefix.join(inside.select("node", "root", "size", *[F.col("bits")[i].alias(f"b{i}") for i in range(MAP)]), "node"), "prefix")
     per = prefix.groupBy("gram", "root").agg(F.count(F.lit(1)).alias("n"))
     lead = per.groupBy("gram").agg(F.max(F.struct("n", "root")).alias("most"), F.count(F.lit(1)).alias("roots")).filter("roots > 1").select("gram", F.col("most.root").alias("lead"))
@@ -160,7 +167,9 @@ def _rest(met: DataFrame, tree: DataFrame, sets: DataFrame) -> DataFrame:
     living = settle(prefix.join(lead.hint("merge"), "gram"), "living")
     differ = " + ".join(f"bit_count(x.b{i} ^ y.b{i})" for i in range(MAP))
     near = f"10 * least(x.size, y.size) >= {TENTHS} * greatest(x.size, y.size) AND {10 + TENTHS} * ({differ}) <= {10 - TENTHS} * (x.size + y.size)"
-    met = living.filter("root <> lead").alias("x").join(living.alias("y").hint("merge"), F.expr(f"x.gram = y.gram AND x.root <> y.root AND {near}"))
+    rest = f"{10 + TENTHS} * (1 + least(x.size - x.place, y.size - y.place)) >= {TENTHS} * (x.size + y.size)"
+    once = "(y.root = y.lead OR x.node < y.node) AND NOT arrays_overlap(x.before, y.before)"
+    met = living.filter("root <> lead").alias("x").join(living.alias("y").hint("merge"), F.expr(f"x.gram = y.gram AND x.root <> y.root AND {rest} AND {near} AND {once}"))
     return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 

@@ -3,6 +3,8 @@
 import random
 import re
 
+import numpy as np
+
 import corpus_pipeline
 
 
@@ -108,3 +110,34 @@ def test_near_copies_against_all_pairs(spark, sf):
     assert len(kept) == len(set(kept)) and set(kept) == plain_survivors(texts)
     empty = corpus_pipeline.stage_near_duplicates(spark, docs.filter("doc_id < 0"), sf)
     assert empty.columns == docs.columns and empty.count() == 0
+
+
+def test_rest_puts_a_pair_out_about_once(spark, monkeypatch):
+    """Texts that share hundreds of prefix shingles make a row or two a pair, not one for each shingle."""
+    from paircuration.llm import near_copies
+
+    draw = random.Random(5)
+    bases = [[f"b{k}w{i}" for i in range(3000)] for k in range(2)]
+    texts = []
+    for i in range(12):  # alike about 0.71 with each other: one word of 60 replaced in each
+        texts.append(" ".join(f"u{i}x{k}" if k % 60 == 5 * i else w for k, w in enumerate(bases[0])))
+    for i in range(2):  # alike 0.9
+        texts.append(" ".join(f"v{i}x{draw.random()}" if k % 200 == i else w for k, w in enumerate(bases[1])))
+    found = [near_copies.shingles(t.encode()) for t in texts]
+    alike = [(i, j) for i in range(len(texts)) for j in range(i) if len(np.intersect1d(found[i], found[j])) * 10 >= 8 * len(np.union1d(found[i], found[j]))]
+    assert alike == [(13, 12)]
+    rows = spark.createDataFrame([(bytes([i]), t) for i, t in enumerate(texts)], "node binary, body string")
+    sets = near_copies.settle(rows.mapInArrow(near_copies._set_batches, "node binary, grams array<bigint>, bits array<bigint>"), "sets")
+    met = sets.selectExpr("1L as key", "struct(node, size(grams) as size) as me")
+    tree = spark.createDataFrame([], "node binary, root binary")
+    rows_out, plain = [], type(sets).distinct
+
+    def counted(df):
+        if df.columns == ["a", "b"]:
+            rows_out.append(df.count())
+        return plain(df)
+
+    monkeypatch.setattr(type(sets), "distinct", counted)
+    pairs = near_copies._rest(met, tree, sets).collect()
+    assert (bytes([12]), bytes([13])) in {(bytes(r["a"]), bytes(r["b"])) for r in pairs}
+    assert rows_out[0] <= 2 * len(pairs)
