@@ -7,6 +7,7 @@ Parquet, so nothing is gathered in the driver.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -78,13 +79,13 @@ def running_totals(events: DataFrame) -> DataFrame:
 class NearDedupStream:
     """Incremental near-duplicate removal: each batch meets the index of kept rows, then the ordered pass inside itself.
 
-    The index lies below one folder: for each batch number the kept rows and their band keys.  A finished part has a
+    The index lies below one folder: for each batch number the kept rows and their profiles with their band keys.  A finished part has a
     marker, and parts are listed from the folder, so a job that starts again there knows all earlier batches; a batch that
     is run again replaces its own part.  Rows of later batches must follow in the order.
     """
 
     def __init__(self, spark: SparkSession, cfg: DedupConfig = DedupConfig(), folder: str | None = None):
-        self.spark, self.cfg, self.folder = spark, cfg, (folder or fresh(spark, "near-index")).rstrip("/")
+        self.spark, self.cfg, self.folder = spark, replace(cfg, verify="exact"), (folder or fresh(spark, "near-index")).rstrip("/")
 
     @property
     def parts(self) -> list[int]:
@@ -101,24 +102,31 @@ class NearDedupStream:
         return self.spark.read.parquet(*paths) if paths else None
 
     def step(self, batch: DataFrame, number: int, id_col: str = "doc_id") -> DataFrame:
-        """Kept rows of the batch, also stored. Rows of later batches must follow in the order."""
+        """Kept rows of the batch, also stored. Rows of later batches must follow in the order.
+
+        Pairs that only share a bucket make no row (`dedup.bound`), and one verification by groups serves both the pairs with
+        kept rows and those inside the batch.
+        """
         rows = settle(batch.select(id_col, dedup.token_set(F.col("text")).alias("tokens")), "batch")
-        sigs = dedup.signatures(rows.select(id_col, F.array_join("tokens", " ").alias("text")), id_col, F.col("text"), self.cfg)
-        idx = settle(dedup.index(sigs, id_col, self.cfg), "bands")
-        old_idx, old_rows = self._read("index", number), self._read("rows", number)
-        alive = rows
-        if old_idx is not None:
-            pairs = idx.withColumnRenamed(id_col, "hi").join(old_idx.withColumnRenamed(id_col, "lo"), ["band", "key"]).select("lo", "hi").distinct()
-            met = pairs.join(old_rows.select(F.col(id_col).alias("lo"), F.col("tokens").alias("a")), "lo").join(rows.select(F.col(id_col).alias("hi"), F.col("tokens").alias("b")), "hi")
-            gone = met.filter(dedup.jaccard(F.col("a"), F.col("b")) >= self.cfg.tau_lsh).select(F.col("hi").alias(id_col)).distinct()
-            alive = settle(rows.join(gone, id_col, "left_anti"), "alive")
-        inside = dedup.candidates(idx.join(alive.select(id_col), id_col, "left_semi"), id_col)
-        verdicts = greedy.resolve(dedup.verify(inside, alive, id_col, "exact", self.cfg.tau_lsh))
-        kept = alive.join(verdicts.filter("NOT kept").select(F.col("id").alias(id_col)), id_col, "left_anti")
-        kept.write.mode("overwrite").parquet(f"{self.folder}/rows/{number}")
-        stored = self.spark.read.schema(kept.schema).parquet(f"{self.folder}/rows/{number}")
-        idx.join(stored.select(id_col), id_col, "left_semi").write.mode("overwrite").parquet(f"{self.folder}/index/{number}")
-        return stored
+        made = settle(dedup.profiles(rows.select(id_col, F.array_join("tokens", " ").alias("text")), id_col, F.col("text"), self.cfg), "profiles")
+        inner = settle(dedup.bounded_index(made, id_col), "bands")
+        pairs, features = dedup.bounded_candidates(inner, inner, id_col, self.cfg), rows
+        old, old_rows = self._read("index", number), self._read("rows", number)
+        if old is not None:
+            old_keys, new_keys = (x.select(F.explode("keys").alias("key")).distinct() for x in (old, made))
+            both = settle(new_keys.join(old_keys, "key", "left_semi"), "shared")
+            known, asked = (settle(dedup.bounded_index(x, id_col, both), "bands") for x in (old, made))
+            pairs, features = pairs.union(dedup.bounded_candidates(known, asked, id_col, self.cfg, ordered=False)), rows.union(old_rows)
+        edges = settle(dedup.verify_grouped(settle(pairs, "pairs"), features, id_col, "exact", self.cfg.tau_lsh), "edges")
+        mine = lambda c: rows.select(F.col(id_col).alias(c))
+        gone = settle(edges.join(mine("lo"), "lo", "left_anti").select(F.col("hi").alias("id")).distinct(), "gone")
+        inside = edges.join(mine("lo"), "lo", "left_semi")
+        for c in ("lo", "hi"):
+            inside = inside.join(gone.select(F.col("id").alias(c)), c, "left_anti")
+        dropped = settle(greedy.resolve(inside.select("lo", "hi")).filter("NOT kept").select("id").union(gone), "dropped").withColumnRenamed("id", id_col)
+        rows.join(dropped, id_col, "left_anti").write.mode("overwrite").parquet(f"{self.folder}/rows/{number}")
+        made.join(dropped, id_col, "left_anti").write.mode("overwrite").parquet(f"{self.folder}/index/{number}")
+        return self.spark.read.schema(rows.schema).parquet(f"{self.folder}/rows/{number}")
 
     def kept(self) -> DataFrame:
         return self.spark.read.parquet(*[f"{self.folder}/rows/{b}" for b in self.parts])
