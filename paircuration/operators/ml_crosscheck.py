@@ -7,7 +7,6 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paircuration.config import DedupConfig
 from paircuration.operators import dedup
 from paircuration.sources.scratch import settle
 
@@ -26,7 +25,8 @@ def ml_crosscheck(sets: DataFrame, id_col: str, distance: float) -> DataFrame:
     """(lo, hi, distance) pairs whose Jaccard distance is below `distance`, by ML's own index.
 
     The pairs are those of its `approxSimilarityJoin`: pairs that share a hash in one of the tables, measured on the hashed
-    vectors.  That join moves both vectors with each pair of a bucket; here buckets meet under the bound of `dedup.bound`.
+    vectors.  That join moves both vectors with each pair of a bucket; here buckets meet under the bound of `dedup.bound`,
+    and since a bucket of a single hash is common, only rows near in size are compared there (`dedup.bounded_meetings`).
     """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
@@ -38,7 +38,7 @@ def ml_crosscheck(sets: DataFrame, id_col: str, distance: float) -> DataFrame:
     mapped = rows.select(F.col(id_col).alias("row_key"), F.transform("tokens", lambda t: F.xxhash64(t)).alias("values"), "keys")
     bits = ", ".join(f"b{i} bigint" for i in range(dedup.MAP))
     made = settle(mapped.mapInArrow(_maps, f"row_key {kind}, n int, keys array<bigint>, {bits}").withColumnRenamed("row_key", id_col), "profiles")
-    cfg, idx = DedupConfig(tau_lsh=1 - distance), settle(dedup.bounded_index(made, id_col), "bands")
-    pairs = settle(dedup.bounded_candidates(idx, idx, id_col, cfg), "pairs")
-    found = dedup.verify_grouped(pairs, rows, id_col, "exact", cfg.tau_lsh - 1e-9)
+    tau = 1 - distance
+    pairs = settle(dedup.bounded_meetings(made, id_col, tau), "pairs")
+    found = dedup.verify_grouped(pairs, rows, id_col, "exact", tau - 1e-9)
     return found.select("lo", "hi", (1 - F.col("sim")).alias("distance")).filter(F.col("distance") < distance)
